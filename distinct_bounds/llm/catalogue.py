@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from distinct_bounds.llm import language, quality, rules, toxicity
+from distinct_bounds.llm import exact, language, mixing, quality, rules, toxicity
 
 
 def queries():
@@ -11,8 +11,10 @@ def queries():
         "op3_rules": rules.op3_rules,
         "op4_toxicity": toxicity.op4_toxicity,
         "op7_language": language.op7_language,
+        "op9_exact": exact.op9_exact,
+        "op10_mixing": mixing.op10_mixing,
     }
 
 
 def oracle_sql():
-    return {}
+    return {"op9_exact": exact.OP9_SQL}

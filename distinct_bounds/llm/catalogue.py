@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from distinct_bounds.llm import exact, language, mixing, quality, rules, toxicity
+from distinct_bounds.llm import bpe, exact, language, mixing, quality, rules, toxicity
 
 
 def queries():
     return {
         "op1_quality": quality.op1_quality,
+        "op2_bpe": bpe.op2_bpe,
         "op3_rules": rules.op3_rules,
         "op4_toxicity": toxicity.op4_toxicity,
         "op7_language": language.op7_language,

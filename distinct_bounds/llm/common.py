@@ -54,6 +54,12 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def map_arrow(df: DataFrame, function, schema: str) -> DataFrame:
+    """mapInArrow with this package's code on the executors."""
+    ship(df.sparkSession)
+    return df.mapInArrow(function, schema)
+
+
 def text_udf(schema: str, names: Sequence[str], make: Callable[[], Callable[[list], Sequence]]):
     """An Arrow function of one text column that returns a struct.
 

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from distinct_bounds.llm.common import CHUNK, col, id_remainder, table, text_udf, with_outputs
+from distinct_bounds.llm.common import CHUNK, col, id_remainder, map_arrow, table, text_udf, with_outputs
 
 OUTPUTS = ("lang_pred", "score")
 WORDS = re.compile(r"[^\W\d_]+").findall
@@ -131,7 +131,7 @@ def word_counts(sample: DataFrame) -> DataFrame:
             flat = [(lang, w, n) for lang, c in counts.items() for w, n in c.items()]
             yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in flat], pa.string()), pa.array([x[1] for x in flat], pa.string()), pa.array([x[2] for x in flat], pa.int64())], ["lang", "word", "n"])
 
-    return sample.select("text", "lang").mapInArrow(work, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
+    return map_arrow(sample.select("text", "lang"), work, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
 
 
 def train(docs: DataFrame, spec: LanguageSpec = LanguageSpec(), learn=None, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id") -> LanguageModel:

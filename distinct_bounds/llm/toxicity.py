@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from distinct_bounds.llm.common import CHUNK, col, id_remainder, labelled_sample, materialize, table, text_udf, with_outputs
+from distinct_bounds.llm.common import CHUNK, col, id_remainder, labelled_sample, map_arrow, materialize, table, text_udf, with_outputs
 
 OUTPUTS = ("score",)
 MULTIPLIERS = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
@@ -17,13 +17,16 @@ MULTIPLIERS = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4
 
 @dataclass(frozen=True)
 class ToxicitySpec:
-    """sample bounds the labelled documents; z is how many standard errors a ratio must be from zero to be a feature."""
+    """sample bounds the labelled documents; a bucket is a feature where its ratio is at least `ratio`
+    and z standard errors away from zero, and no more than `most` are, those of the largest z."""
 
     bits: int = 20
     orders: tuple[int, ...] = (4, 5, 6, 8)
     sample: int = 20_000
     smoothing: float = 1.0
     z: float = 3.5
+    ratio: float = 1.0
+    most: int = 30_000
     l2: float = 1e-3
     steps: int = 400
     rate: float = 0.3
@@ -87,7 +90,7 @@ def presence_counts(sample: DataFrame, spec: ToxicitySpec) -> DataFrame:
         met = np.flatnonzero(counts.any(axis=0))
         yield pa.RecordBatch.from_arrays([pa.array(met.astype(np.int32)), pa.array(counts[1][met]), pa.array(counts[0][met])], ["bucket", "pos", "neg"])
 
-    parts = sample.select("text", "y").coalesce(8).mapInArrow(work, "bucket int, pos int, neg int")
+    parts = map_arrow(sample.select("text", "y").coalesce(8), work, "bucket int, pos int, neg int")
     return parts.groupBy("bucket").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
 
 
@@ -95,7 +98,7 @@ def train(docs: DataFrame, labels: DataFrame, spec: ToxicitySpec = ToxicitySpec(
     """Learn from at most spec.sample labelled documents for which `learn` holds.
 
     The ratio of a bucket is log of its smoothed rate among label 1 over that among label
-    0; buckets whose ratio is within z standard errors of zero carry no weight. Without
+    0; buckets whose ratio is small or within z standard errors of zero carry no weight. Without
     documents of both labels the score is the smoothed base rate.
     """
     sample = materialize(labelled_sample(docs, labels, label, F.lit(True) if learn is None else learn, spec.sample, id_col, text_col), "labelled")
@@ -108,7 +111,7 @@ def train(docs: DataFrame, labels: DataFrame, spec: ToxicitySpec = ToxicitySpec(
         return ToxicityModel(scale, weights, base, spec)
     a, b = F.col("pos") + spec.smoothing, F.col("neg") + spec.smoothing
     ratio = F.log(a / (pos + 2 * spec.smoothing)) - F.log(b / (neg + 2 * spec.smoothing))
-    told = presence_counts(sample, spec).select("bucket", ratio.alias("ratio"), (F.abs(ratio) / F.sqrt(1 / a + 1 / b)).alias("z")).filter(F.col("z") >= spec.z)
+    told = presence_counts(sample, spec).select("bucket", ratio.alias("ratio"), (F.abs(ratio) / F.sqrt(1 / a + 1 / b)).alias("z")).filter((F.col("z") >= spec.z) & (F.abs("ratio") >= spec.ratio)).orderBy(F.desc("z"), "bucket").limit(spec.most)
     got = told.select("bucket", "ratio").toArrow()
     scale[got["bucket"].to_numpy()] = got["ratio"].to_numpy()
 

@@ -27,7 +27,7 @@ class ToxicitySpec:
     z: float = 3.5
     ratio: float = 1.0
     most: int = 30_000
-    l2: float = 1e-3
+    l2: float = 2e-4
     steps: int = 400
     rate: float = 0.3
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from distinct_bounds.llm import bpe, exact, language, mixing, quality, rules, toxicity
+from distinct_bounds.llm import bpe, exact, language, mixing, ngram_join, quality, rules, toxicity
 
 
 def queries():
@@ -11,6 +11,7 @@ def queries():
         "op2_bpe": bpe.op2_bpe,
         "op3_rules": rules.op3_rules,
         "op4_toxicity": toxicity.op4_toxicity,
+        "op5_ngram_join": ngram_join.op5_ngram_join,
         "op7_language": language.op7_language,
         "op9_exact": exact.op9_exact,
         "op10_mixing": mixing.op10_mixing,
@@ -18,4 +19,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op9_exact": exact.OP9_SQL}
+    return {"op5_ngram_join": ngram_join.OP5_SQL, "op9_exact": exact.OP9_SQL}

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from distinct_bounds.llm import bpe, exact, language, mixing, ngram_join, quality, rules, toxicity
+from distinct_bounds.llm import bpe, exact, language, mixing, ngram_join, personal, quality, rules, toxicity
 
 
 def queries():
@@ -12,6 +12,7 @@ def queries():
         "op3_rules": rules.op3_rules,
         "op4_toxicity": toxicity.op4_toxicity,
         "op5_ngram_join": ngram_join.op5_ngram_join,
+        "op6_personal": personal.op6_personal,
         "op7_language": language.op7_language,
         "op9_exact": exact.op9_exact,
         "op10_mixing": mixing.op10_mixing,

@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
+from distinct_bounds.plans import workloads
+
 
 def queries():
-    return {}
+    return dict(workloads.QUERIES)
 
 
 def oracle_sql():
-    return {}
+    return dict(workloads.SQL)
 
 
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+flagship = workloads.flagship

@@ -27,22 +27,25 @@ def mark_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     once. Rows that pass the filter are written to the shared folder with a number of their
     own, so that the choice among repeated rows survives lost executors.
     """
-    base = without(docs, OUTPUTS).withColumn("text_sha256", F.sha2(normalised(col(text_col)).cast("binary"), 256))
+    kept = [id_col] if slim else without(docs, OUTPUTS).columns
+    sha = F.sha2(normalised(col(text_col)).cast("binary"), 256).alias("_sha")
+    base = docs.select(F.struct(*[col(c) for c in kept]).alias("_doc"), col(id_col).alias("_id"), sha)
     if slim:
-        base = materialize(base.select(col(id_col), "text_sha256"), "digests")
-    hashed = base.withColumn("_hash", F.xxhash64("text_sha256"))
+        base = materialize(base, "digests")
+    hashed = base.withColumn("_hash", F.xxhash64("_sha"))
     filter_ = sieve.build(hashed.select("_hash"), docs.count(), least=2)
     flagged = filter_.passing(hashed, "_hash", "_maybe").drop("_hash")
 
-    alone = flagged.filter(~F.col("_maybe")).drop("_maybe")
-    alone = alone.select("*", col(id_col).alias("keep_id"), F.lit(1).cast("bigint").alias("group_size"), F.lit(True).alias("kept"))
+    alone = flagged.filter(~F.col("_maybe"))
+    alone = alone.select("_doc", "_sha", F.col("_id").alias("_keep"), F.lit(1).cast("bigint").alias("_n"), F.lit(True).alias("_kept"))
 
     maybe = materialize(flagged.filter("_maybe").drop("_maybe").withColumn("_row", F.monotonically_increasing_id()), "candidates")
-    first = F.min(F.struct(col(id_col).isNull().alias("none"), col(id_col).alias("id"), F.col("_row").alias("row"))).alias("_first")
-    groups = materialize(maybe.groupBy(F.col("text_sha256").alias("_sha")).agg(first, F.count("*").alias("_n")), "groups")
-    met = maybe.join(groups, F.col("text_sha256") == F.col("_sha"))
-    met = met.select(*[col(c) for c in base.columns], F.col("_first.id").alias("keep_id"), F.col("_n").alias("group_size"), (F.col("_row") == F.col("_first.row")).alias("kept"))
-    return alone.unionByName(met)
+    first = F.min(F.struct(F.col("_id").isNull().alias("none"), F.col("_id").alias("id"), F.col("_row").alias("row"))).alias("_first")
+    groups = materialize(maybe.groupBy(F.col("_sha").alias("_group")).agg(first, F.count("*").alias("_n")), "groups")
+    met = maybe.join(groups, F.col("_sha") == F.col("_group"))
+    met = met.select("_doc", "_sha", F.col("_first.id").alias("_keep"), "_n", (F.col("_row") == F.col("_first.row")).alias("_kept"))
+    named = zip(("_keep", "_n", "_kept", "_sha"), OUTPUTS, strict=True)
+    return alone.unionByName(met).select(*[F.col("_doc")[c].alias(c) for c in kept], *[F.col(a).alias(b) for a, b in named])
 
 
 def op9_exact(spark, sf_dir: str) -> DataFrame:

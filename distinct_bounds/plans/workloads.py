@@ -484,7 +484,7 @@ def evolved(df: DataFrame, key: str) -> DataFrame:
 _evolution("evolution_stream_events", day_slices, "SELECT strftime(ts, '%Y-%m-%d') AS slice, user_id AS key FROM events", 10_000)
 _evolution("evolution_stream_lineitem", month_slices, "SELECT strftime(l_shipdate, '%Y-%m') AS slice, l_orderkey AS key FROM lineitem", 60_000)
 _evolution("evolution_first_slice", lambda s, d: (table(s, d, "events").filter("ts < timestamp_ntz'2024-01-02'").select(F.date_format("ts", "yyyy-MM-dd HH").alias("slice"), "user_id"), "user_id"), "SELECT strftime(ts, '%Y-%m-%d %H') AS slice, user_id AS key FROM events WHERE ts < TIMESTAMP '2024-01-02'", 10_000)
-_evolution("cold_start", lambda s, d: (table(s, d, "events").filter("user_id <= 50").select(F.lpad(F.col("user_id").cast("string"), 4, "0").alias("slice"), "user_id"), "user_id"), "SELECT lpad(CAST(user_id AS VARCHAR), 4, '0') AS slice, user_id AS key FROM events WHERE user_id <= 50", 10_000)
+_evolution("cold_start", lambda s, d: (table(s, d, "events").select(F.lpad(F.col("user_id").cast("string"), 7, "0").alias("slice"), "user_id"), "user_id"), "SELECT lpad(CAST(user_id AS VARCHAR), 7, '0') AS slice, user_id AS key FROM events", 10_000)
 
 
 def _fit(name, make, cell, cells, share):

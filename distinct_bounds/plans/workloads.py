@@ -539,7 +539,7 @@ RATIO_M, STEPS_T = (1, 2, 5, 10, 50, 100, 500, 1000), 20
 def _ratio(name, sign, top):
     limit = f"lgamma(1 {'-' if sign < 0 else '+'} t) {'-' if sign < 0 else '+'} {EULER!r} * t"
     term = f"{'-' if sign < 0 else ''}t / j - ln(1 {'-' if sign < 0 else '+'} t / j)"
-    query(name, f"WITH a AS (SELECT m, i * {top / STEPS_T!r} AS t FROM (SELECT unnest([{', '.join(map(str, RATIO_M))}]) AS m), (SELECT unnest(range(1, {STEPS_T})) AS i)), b AS (SELECT m, t, sum({term}) AS s FROM a, (SELECT unnest(range(1, 1001)) AS j) WHERE j <= m GROUP BY m, t) SELECT CAST(m AS INTEGER) AS m, round(t, 6) AS t, round(100 * exp(s - ({limit})), 6) AS percent FROM b")(
+    query(name, f"WITH a AS (SELECT m, CAST(i AS DOUBLE) * {top / STEPS_T!r}::DOUBLE AS t FROM (SELECT unnest([{', '.join(map(str, RATIO_M))}]) AS m), (SELECT unnest(range(1, {STEPS_T})) AS i)), b AS (SELECT m, t, sum({term}) AS s FROM a, (SELECT unnest(range(1, 1001)) AS j) WHERE j <= m GROUP BY m, t) SELECT CAST(m AS INTEGER) AS m, round(t, 6) AS t, round(100 * exp(s - ({limit})), 6) AS percent FROM b")(
         lambda spark, d: spark.createDataFrame([(m, round(i * top / STEPS_T, 6), round(float(bounds.product_ratio(m, i * top / STEPS_T, sign)), 6)) for m in RATIO_M for i in range(1, STEPS_T)], "m int, t double, percent double")
     )
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator, Sequence
@@ -51,13 +53,33 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{scratch_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch_path = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Delete what materialize() wrote, once all that was made of it is written elsewhere."""
+    path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._scratch_path)
+    path.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def settle() -> None:
+    """Give memory that a task has freed back to the system; workers serve many tasks and would keep it."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
 
 
 def map_arrow(df: DataFrame, function, schema: str) -> DataFrame:
     """mapInArrow with this package's code on the executors."""
     ship(df.sparkSession)
-    return df.mapInArrow(function, schema)
+
+    def run(batches):
+        yield from function(batches)
+        settle()
+
+    return df.mapInArrow(run, schema)
 
 
 def text_udf(schema: str, names: Sequence[str], make: Callable[[], Callable[[list], Sequence]]):
@@ -81,6 +103,9 @@ def text_udf(schema: str, names: Sequence[str], make: Callable[[], Callable[[lis
                 parts.append([x if isinstance(x, pa.Array) else pa.array(x, kinds[n]) for n, x in zip(names, got, strict=True)])
             fields = [pa.concat_arrays(x) for x in zip(*parts, strict=True)] if parts else [pa.array([], kinds[n]) for n in names]
             yield pa.StructArray.from_arrays(fields, fields=[pa.field(n, kinds[n]) for n in names])
+            del batch, parts, fields
+        del work
+        settle()
 
     ship(SparkSession.active())
     run.__annotations__ = {"batches": Iterator[pa.Array], "return": Iterator[pa.Array]}

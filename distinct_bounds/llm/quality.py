@@ -21,7 +21,7 @@ OUTPUTS = ("score",)
 class WordHashes(dict):
     """64-bit hash of a word, remembered; emptied when it is large, so memory stays bounded."""
 
-    def __init__(self, most: int = 400_000):
+    def __init__(self, most: int = 150_000):
         self.most = most
 
     def __missing__(self, word: str) -> int:

@@ -33,12 +33,14 @@ class WordHashes(dict):
 
 @dataclass(frozen=True)
 class QualitySpec:
-    """sample bounds the labelled documents that are learnt from; alpha, beta, l1, l2 are the update's constants."""
+    """sample bounds the labelled documents that are learnt from; they are gone through `epochs` times, and
+    more often where that makes fewer than `updates` updates; alpha, beta, l1, l2 are the update's constants."""
 
     bits: int = 18
     orders: int = 2
     sample: int = 4000
     epochs: int = 4
+    updates: int = 24_000
     alpha: float = 0.5
     beta: float = 1.0
     l1: float = 0.02
@@ -95,7 +97,7 @@ def follow_the_leader(rows: list[tuple[np.ndarray, np.ndarray, int]], spec: Qual
         over = np.abs(z) - shrink[at]
         return np.where(over > 0, -np.sign(z) * over / ((spec.beta + np.sqrt(squares[at])) / spec.alpha + spec.l2), 0.0)
 
-    for _ in range(spec.epochs):
+    for _ in range(max(spec.epochs, -(-spec.updates // max(1, len(rows))))):
         for found, value, y in rows:
             at, x = np.append(found, dim), np.append(value, 1.0)
             w = weights(at)

@@ -51,7 +51,7 @@ def test_quality_without_labels_is_one_half(corpus):
 
 
 def test_leader_updates_match_a_plain_loop():
-    spec = quality.QualitySpec(bits=4, epochs=2, l1=0.1)
+    spec = quality.QualitySpec(bits=4, epochs=2, updates=0, l1=0.1)
     rng = np.random.default_rng(1)
     rows = [(np.sort(rng.choice(16, 3, replace=False)), rng.random(3).astype(np.float32), int(rng.random() < 0.5)) for _ in range(40)]
     z, n, w = [0.0] * 17, [0.0] * 17, [0.0] * 17

@@ -118,17 +118,18 @@ def hp_table(spark, n: int, p: float) -> DataFrame:
     return terms.select("n", F.sum("term").over(Window.orderBy("n").rowsBetween(Window.unboundedPreceding, 0)).alias("hp"))
 
 
-def inverse_by_table(aimed: DataFrame, table: DataFrame, column: str, name: str) -> DataFrame:
-    """aimed with the largest n of the table whose level is no more than column: an as-of join.
+def inverse_by_table(aimed: DataFrame, table: DataFrame, column: str, name: str, p: float) -> DataFrame:
+    """aimed with the largest n whose level is no more than column: an as-of join, and the inverse above the table's end.
 
     Thresholds and table are merged in one order and the last n seen is carried on; the
-    table is small, so one task orders it.
+    table is small, so one task orders it. p is that of the table.
     """
     from pyspark.sql import Window
 
-    marks = table.select(F.col("hp").alias("_at"), F.col("n").alias("_n"), F.lit(None).cast("bigint").alias("_id"))
-    rows = aimed.withColumn("_id", F.monotonically_increasing_id())
-    asked = rows.select(F.col(column).alias("_at"), F.lit(None).cast("bigint").alias("_n"), "_id")
+    asked = aimed.select(F.col(column).alias("_at"), F.lit(None).cast("bigint").alias("_n"), F.struct(*aimed.columns).alias("_row"))
+    marks = table.select(F.col("hp").alias("_at"), F.col("n").alias("_n"), F.lit(None).cast(asked.schema["_row"].dataType).alias("_row"))
     run = Window.orderBy("_at", F.col("_n").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, 0)
-    found = marks.unionByName(asked).withColumn("_last", F.coalesce(F.last("_n", ignorenulls=True).over(run), F.lit(0))).filter(F.col("_id").isNotNull())
-    return rows.join(found.select("_id", F.col("_last").cast("bigint").alias(name)), "_id").drop("_id")
+    merged = marks.unionByName(asked).withColumns({"_last": F.coalesce(F.last("_n", ignorenulls=True).over(run), F.lit(0)), "_end": F.coalesce(F.max("_n").over(Window.partitionBy()), F.lit(0))})
+    found = merged.filter(F.col("_row").isNotNull()).withColumn("_above", F.floor(inverse(F.col("_at"), p)))
+    n = F.when(F.col("_last") < F.col("_end"), F.col("_last")).otherwise(F.greatest("_last", "_above"))
+    return found.select("_row.*", n.cast("bigint").alias(name))

@@ -286,7 +286,7 @@ def transformed_interval(spark, d):
 def inverse_by_table(spark, d):
     frame = build(table(spark, d, "events"), "user_id", SPEC, ["event_type"])
     aimed = registers.mean_y(frame).withColumn("middle", F.col("mean_y") * LN2)
-    return estimate.inverse_by_table(aimed, estimate.hp_table(spark, 5000, 1 / 16), "middle", "estimate_int").select("event_type", "estimate_int")
+    return estimate.inverse_by_table(aimed, estimate.hp_table(spark, 5000, SPEC.p), "middle", "estimate_int", SPEC.p).select("event_type", "estimate_int")
 
 
 @query("point_by_groups", sql.with_(sql.slots("events", "user_id", "event_type"), sql.means("event_type"), sql.levels(5000)) + sql.floors("event_type", DOWN, UP))

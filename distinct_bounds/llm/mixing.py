@@ -5,15 +5,17 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from distinct_bounds.llm.common import col, materialize, quoted, table, without
+from distinct_bounds.llm.common import col, map_arrow, materialize, quoted, table, without
 
 OUTPUTS = ("size", "source_size", "target", "copies", "taken")
 CYCLE = (1, 2, 3)
 CAP = 3
-#: Sources whose parameters the driver and a broadcast may hold.
+#: Sources whose parameters the driver and a broadcast may hold; those of more stay in a table.
 MOST_SOURCES = 200_000
 BINS = 4096
 
@@ -129,6 +131,22 @@ def copies() -> Column:
     return F.when(F.col("size") == 0, 0).otherwise(F.floor("rate") + F.when(one_more, 1).otherwise(0)).cast("bigint")
 
 
+def edges(met: DataFrame, c: int) -> DataFrame:
+    """(k, e): the bin of the margin in which the words wanted of size class c are met, with the sums around it."""
+    from pyspark.sql import Window
+
+    met = met.withColumn("rate", rate()).withColumn("margin", margin("_id"))
+    words, kind = F.col("rate") * F.col("size"), size_class()
+    due = (F.col("rate") < CAP) & (kind == c)
+    place = F.floor((F.col("margin") - F.col("below")) / F.col("width") * BINS)
+    place = F.when(~due, F.lit(-2)).otherwise(F.greatest(F.lit(-1), F.least(F.lit(BINS), place))).cast("int")
+    owed = F.when(kind < c, words - copies() * F.col("size")).when(kind == c, words - F.floor("rate") * F.col("size")).otherwise(0.0)
+    sums = met.groupBy("k", place.alias("bin")).agg(F.sum(owed).alias("owed"), F.sum(F.when(due, F.col("size")).otherwise(0)).alias("extra"))
+    by = Window.partitionBy("k")
+    run = sums.withColumn("want", F.sum("owed").over(by)).withColumn("upto", F.sum("extra").over(by.orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)))
+    return run.filter((F.col("bin") >= -1) & (F.col("upto") > F.col("want"))).groupBy("k").agg(F.min(F.struct("bin", "upto", "extra", "want")).alias("e"))
+
+
 def settle_rounding(spark: SparkSession, sized: DataFrame, sources: list[Source], levels: int = 2) -> None:
     """Thresholds on the margin, such that the copies take each source's target as nearly as small documents allow.
 
@@ -137,22 +155,11 @@ def settle_rounding(spark: SparkSession, sized: DataFrame, sources: list[Source]
     in which the wanted words are met is cut into bins again. One row of each source reaches
     the driver.
     """
-    from pyspark.sql import Window
-
     for c in range(3):
         for x in sources:
             x.below, x.width = -1.0, 2.0
         for _ in range(levels):
-            met = sized.join(parameters(spark, sources), "k").withColumn("rate", rate()).withColumn("margin", margin("_id"))
-            words, kind = F.col("rate") * F.col("size"), size_class()
-            due = (F.col("rate") < CAP) & (kind == c)
-            place = F.floor((F.col("margin") - F.col("below")) / F.col("width") * BINS)
-            place = F.when(~due, F.lit(-2)).otherwise(F.greatest(F.lit(-1), F.least(F.lit(BINS), place))).cast("int")
-            owed = F.when(kind < c, words - copies() * F.col("size")).when(kind == c, words - F.floor("rate") * F.col("size")).otherwise(0.0)
-            sums = met.groupBy("k", place.alias("bin")).agg(F.sum(owed).alias("owed"), F.sum(F.when(due, F.col("size")).otherwise(0)).alias("extra"))
-            by = Window.partitionBy("k")
-            run = sums.withColumn("want", F.sum("owed").over(by)).withColumn("upto", F.sum("extra").over(by.orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)))
-            edge = run.filter((F.col("bin") >= -1) & (F.col("upto") > F.col("want"))).groupBy("k").agg(F.min(F.struct("bin", "upto", "extra", "want")).alias("e"))
+            edge = edges(sized.join(parameters(spark, sources), "k"), c)
             found = {r["k"]: r["e"] for r in edge.collect()}
             for k, x in enumerate(sources):
                 e, held = found.get(k), list(x.thresholds)
@@ -175,27 +182,33 @@ def mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", tex
     subject to the words taken being the target and to the cap of 3 copies; they are
     rounded by a fixed hash of the id and size, so reruns agree. Rows with equal id and size
     in a source get equal copies. Null and blank texts have size 0 and take nothing. An
-    empty table gives an empty one; more than MOST_SOURCES sources are refused.
+    empty table gives an empty one. The parameters of more than MOST_SOURCES sources stay in a
+    table (wide_parameters), so that the number of sources is not limited.
     """
     spark = docs.sparkSession
     plain = without(docs, OUTPUTS)
     with_size = plain.withColumn("size", words_in(col(text_col)))
     slim = materialize(with_size.select(col(id_col).alias("_id"), col(source_col).cast("string").alias("_source"), "size"), "sizes")
     sources = find_sources(slim)
-    keyed = materialize(attach(slim, sources, "_source").select("_id", "size", "k"), "keyed")
-    histogram = materialize(keyed.filter("size > 0").groupBy("k", "size").agg(F.count("*").alias("n")), "histogram")
-    solve(spark, histogram, sources)
-    settle_rounding(spark, keyed.filter("size > 0"), sources)
+    if sources is None:
+        found = wide_parameters(slim)
+    else:
+        keyed = materialize(attach(slim, sources, "_source").select("_id", "size", "k"), "keyed")
+        histogram = materialize(keyed.filter("size > 0").groupBy("k", "size").agg(F.count("*").alias("n")), "histogram")
+        solve(spark, histogram, sources)
+        settle_rounding(spark, keyed.filter("size > 0"), sources)
+        found = parameters(spark, sources)
     packed = with_size.select(F.struct(*[col(c) for c in plain.columns]).alias("_doc"), col(id_col).alias("_id"), col(source_col).cast("string").alias("_named"), "size")
-    made = packed.join(parameters(spark, sources), F.col("_named").eqNullSafe(F.col("_source"))).withColumn("rate", rate()).withColumn("margin", margin("_id"))
+    made = packed.join(found, F.col("_named").eqNullSafe(F.col("_source"))).withColumn("rate", rate()).withColumn("margin", margin("_id"))
     made = made.withColumn("copies", copies())
     return made.select(*[F.col(f"_doc.{quoted(c)}").alias(c) for c in plain.columns], "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
 
-def find_sources(slim: DataFrame) -> list[Source]:
+def find_sources(slim: DataFrame) -> list[Source] | None:
+    """The sources with their targets; None where there are more than MOST_SOURCES."""
     rows = slim.groupBy("_source").agg(F.sum("size").alias("size"), F.count("*").alias("n")).limit(MOST_SOURCES + 1).collect()
     if len(rows) > MOST_SOURCES:
-        raise ValueError(f"more than {MOST_SOURCES} sources")
+        return None
     rows.sort(key=lambda r: (r["_source"] is None, r["_source"] or ""))
     targets = shares([r["size"] for r in rows], [CYCLE[i % len(CYCLE)] for i in range(len(rows))])
     found = [Source(r["_source"], r["size"], r["n"], t) for r, t in zip(rows, targets, strict=True)]
@@ -210,6 +223,116 @@ def attach(df: DataFrame, sources: list[Source], name: str) -> DataFrame:
     return df.join(F.broadcast(side), F.col(name).eqNullSafe(F.col("_named"))).drop("_named")
 
 
+def wide_parameters(slim: DataFrame) -> DataFrame:
+    """What parameters() gives after solve() and settle_rounding(), with one row a source that never leaves the executors."""
+    sources = wide_sources(slim)
+    names = sources.select("k", F.col("_source").alias("_named"))
+    keyed = materialize(slim.join(names, F.col("_source").eqNullSafe(F.col("_named"))).select("_id", "size", "k"), "keyed").filter("size > 0")
+    duals = wide_duals(keyed.groupBy("k", "size").agg(F.count("*").alias("n")).join(sources.filter("fixed is null").select("k", "target", "mean", "start"), "k"))
+    tilt = F.coalesce(F.col("dual") / F.col("mean"), F.lit(0.0))
+    found = sources.join(duals, "k", "left").select("k", "_source", "source_size", "target", tilt.alias("tilt"), "fixed", F.array(*[F.lit(0.0)] * 3).alias("thresholds"), "mean", F.lit(-1.0).alias("below"), F.lit(2.0).alias("width"))
+    return wide_rounding(keyed, materialize(found, "parameters"))
+
+
+def wide_sources(slim: DataFrame) -> DataFrame:
+    """(k, _source, source_size, target, fixed, mean, start): sources in code-point order, null last, with the targets of shares()."""
+    from pyspark.sql import Window
+
+    sums = slim.groupBy("_source").agg(F.sum("size").alias("source_size"), F.count("*").alias("docs"))
+    dealt = materialize(sums.repartitionByRange(F.col("_source").asc_nulls_last()).withColumn("_part", F.spark_partition_id()), "sources")
+    before, starts = 0, []
+    for r in sorted(dealt.groupBy("_part").agg(F.count("*").alias("n")).collect()):
+        starts.append((r["_part"], before))
+        before += r["n"]
+    offset = F.broadcast(slim.sparkSession.createDataFrame(starts, "_part int, _before long"))
+    place = F.row_number().over(Window.partitionBy("_part").orderBy(F.col("_source").asc_nulls_last()))
+    k = F.col("_before") + place - 1
+    weight = F.element_at(F.array(*[F.lit(float(w)) for w in CYCLE]), (k % len(CYCLE) + 1).cast("int"))
+    ranked = materialize(dealt.join(offset, "_part").select(k.alias("k"), "_source", "source_size", "docs", weight.alias("weight")), "ranked")
+    most, over, count = CAP * F.col("source_size"), F.lit(False), 0
+    while True:
+        r = ranked.filter("source_size > 0").agg(
+            F.sum("source_size").alias("all"), F.sum(F.when(over, most)).alias("gone"), F.sum(F.when(~over, F.col("weight"))).alias("open"), F.count(F.when(over, 1)).alias("n")
+        ).first()
+        closed, count = over, r["n"]
+        if not r["open"]:
+            share = F.lit(0.0)
+            break
+        share = F.lit(float(r["all"] - (r["gone"] or 0))) * F.col("weight") / F.lit(r["open"])
+        over = share > most
+        if ranked.filter("source_size > 0").filter(over).count() <= count:
+            break
+    size = F.col("source_size")
+    target = F.when(size <= 0, 0.0).when(closed, most.cast("double")).otherwise(share)
+    out = ranked.withColumns({"target": target, "mean": size / F.greatest(F.lit(1), F.col("docs"))})
+    fixed = F.when((size == 0) | (F.col("target") <= 0), 0.0).when(F.col("target") >= CAP * size * F.lit(1 - 1e-12), float(CAP))
+    return materialize(out.select("k", "_source", "source_size", "target", fixed.alias("fixed"), "mean", F.when(fixed.isNull(), F.log(F.col("target") / size)).alias("start")), "targets")
+
+
+def wide_duals(rows: DataFrame) -> DataFrame:
+    """(k, dual) from (k, size, n, target, mean, start): the iterations of solve(), where the counts of a source lie.
+
+    A task goes through its sources in order and holds a batch and what is left of the last source.
+    """
+
+    def work(batches):
+        left = None
+        for batch in batches:
+            got = pa.Table.from_batches([batch])
+            got = got if left is None else pa.concat_tables([left, got])
+            k = got["k"].to_numpy()
+            cut = int(np.searchsorted(k, k[-1])) if len(k) else 0
+            left = got.slice(cut).combine_chunks()
+            if cut:
+                yield newton(got.slice(0, cut))
+        if left is not None and left.num_rows:
+            yield newton(left)
+
+    return map_arrow(rows.select("k", "size", "n", "target", "mean", "start").repartition("k").sortWithinPartitions("k"), work, "k long, dual double")
+
+
+def newton(rows: pa.Table, tolerance: float = 1e-9, most: int = 60) -> pa.RecordBatch:
+    """The duals of all sources of rows in order of k."""
+    k, size, n = (rows[c].to_numpy() for c in ("k", "size", "n"))
+    at = np.flatnonzero(np.append(True, k[1:] != k[:-1]))
+    target, mean, dual = (rows[c].to_numpy()[at].astype(float) for c in ("target", "mean", "start"))
+    of = np.repeat(np.arange(len(at)), np.diff(np.append(at, len(k))))
+    low, high, settled = np.full(len(at), -np.inf), np.full(len(at), np.inf), np.zeros(len(at), bool)
+    with np.errstate(all="ignore"):
+        for _ in range(most):
+            if settled.all():
+                break
+            rates = np.minimum(CAP, np.exp(np.minimum(60.0, (dual / mean)[of] * size)))
+            words = n * size * rates
+            f, g = np.add.reduceat(words, at), np.add.reduceat(np.where(rates < CAP, words * size, 0.0), at) / mean
+            off = np.log(target) - np.log(np.maximum(f, 1e-300))
+            settled |= np.abs(off) <= tolerance
+            go = ~settled
+            low = np.where(go & (off > 0), np.maximum(low, dual), low)
+            high = np.where(go & (off <= 0), np.minimum(high, dual), high)
+            step = np.where(g > 0, dual + off * f / g, np.inf)
+            bent = np.where(np.isfinite(low + high), (low + high) / 2, np.where(off > 0, 2 * dual + 1, 2 * dual - 1))
+            step = np.where((low < step) & (step < high), step, bent)
+            near = np.abs(step - dual) <= 1e-13 * np.maximum(1.0, np.abs(step))
+            dual = np.where(go, step, dual)
+            settled |= go & near
+    return pa.RecordBatch.from_arrays([pa.array(k[at], pa.int64()), pa.array([float(f"{x:.9g}") for x in dual], pa.float64())], ["k", "dual"])
+
+
+def wide_rounding(sized: DataFrame, found: DataFrame, levels: int = 2) -> DataFrame:
+    """found with the thresholds of settle_rounding()."""
+    for c in range(3):
+        found = found.withColumns({"below": F.lit(-1.0), "width": F.lit(2.0)})
+        for _ in range(levels):
+            cut = F.col("width") / BINS
+            start = F.col("below") + F.col("e.bin") * cut
+            short, over = F.col("e.want") - (F.col("e.upto") - F.col("e.extra")), F.col("e.upto") - F.col("e.want")
+            held = F.when(F.col("e").isNull(), F.col("below") + F.col("width")).when(short <= over, start).otherwise(start + cut)
+            changed = {"thresholds": F.array(*[held if i == c else F.col("thresholds")[i] for i in range(3)]), "below": F.coalesce(start, "below"), "width": F.when(F.col("e").isNull(), F.col("width")).otherwise(cut)}
+            found = materialize(found.join(edges(sized.join(found, "k"), c), "k", "left").withColumns(changed).drop("e"), "parameters")
+    return found
+
+
 def op10_mixing(spark, sf_dir: str) -> DataFrame:
     """doc_id, size, source_size, target, taken (and copies) for every document."""
     return mix(table(spark, sf_dir, "documents").select("doc_id", "source", "text")).select("doc_id", "size", "source_size", "target", "taken", "copies")

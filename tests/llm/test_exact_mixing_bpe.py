@@ -131,3 +131,15 @@ def test_rates_are_tilted_and_meet_the_constraint(spark):
     for k, x in enumerate(sources):
         total = sum(r["n"] * r["size"] * min(3, math.exp(x.dual / x.mean * r["size"])) for r in histogram.collect() if r["k"] == k)
         assert total == pytest.approx(x.target, rel=1e-6)
+
+
+def test_any_number_of_sources_is_mixed_alike(spark, monkeypatch):
+    rng = random.Random(8)
+    rows = [(i, rng.choice([*"abcdefgh", "é", "\U0001f600", None]), " ".join(["w"] * rng.choice([0, 1, 5, 20, 60, 300]))) for i in range(2000)]
+    rows += [(5000, "only", "one two three"), (5001, "blank", None), (5002, "blank", " \n")]
+    docs = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    few = {r["doc_id"]: tuple(r) for r in mixing.mix(docs).collect()}
+    monkeypatch.setattr(mixing, "MOST_SOURCES", 2)
+    many = {r["doc_id"]: tuple(r) for r in mixing.mix(docs).collect()}
+    assert many == few and len(many) == len(rows)
+    assert mixing.mix(docs.filter("source is null")).count() == sum(r[1] is None for r in rows)

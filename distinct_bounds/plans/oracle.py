@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 
 from distinct_bounds.functions import solvers
-from distinct_bounds.functions.special import LN2
+from distinct_bounds.functions.special import EULER, LN2
 
 SLOTS, STEPS, P = 64, 256, 1 / 16
 
@@ -34,10 +34,11 @@ def means(by: str = "", empty: float = 0.0, source: str = "s") -> str:
 m AS (SELECT {names}(coalesce(sum(key // 256 - log2(1 + (255 - key % 256) / 256.0)), 0) + (64 - count(key)) * {empty!r}) / 64 AS mean_y, count(key) AS filled FROM {source}{group})"""
 
 
-def levels(n: int, p: float = P) -> str:
-    """CTE t: the level of each whole number of objects up to n; 0 has level 0."""
+def levels(n: int, p: float = P, over: str | None = "m") -> str:
+    """CTE t: the level of each whole number of objects up to n, and to e times the largest estimate of CTE `over`; 0 has level 0."""
+    end = f"{n + 1}" if over is None else f"(SELECT CAST(greatest({n}, ceil(exp(max(mean_y) * {LN2!r} + {1 - EULER!r}) / {p!r})) AS BIGINT) + 1 FROM {over})"
     return f"""
-t AS (SELECT 0 AS n, 0.0 AS hp UNION ALL SELECT n, sum((1 - pow({1 - p!r}, n)) / n) OVER (ORDER BY n) AS hp FROM (SELECT unnest(range(1, {n + 1})) AS n))"""
+t AS (SELECT 0 AS n, 0.0 AS hp UNION ALL SELECT n, sum((1 - pow({1 - p!r}, n)) / n) OVER (ORDER BY n) AS hp FROM (SELECT unnest(range(1, {end})) AS n))"""
 
 
 def half(alpha: float, side: str, tail: float | None = None) -> float:

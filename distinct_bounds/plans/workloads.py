@@ -196,7 +196,7 @@ def sketch_health(spark, d):
 # ---- estimates and intervals -----------------------------------------------------------
 
 
-@query("hp_table", sql.with_(sql.levels(5000)) + " SELECT n, round(hp, 6) AS hp FROM t WHERE n > 0")
+@query("hp_table", sql.with_(sql.levels(5000, over=None)) + " SELECT n, round(hp, 6) AS hp FROM t WHERE n > 0")
 def hp_table(spark, d):
     return estimate.hp_table(spark, 5000, 1 / 16).select("n", F.round("hp", 6).alias("hp"))
 

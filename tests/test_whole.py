@@ -1,5 +1,6 @@
 """The queries on more, and on all, of what they are to count."""
 
+import duckdb
 import numpy as np
 from pyspark.sql import functions as F
 
@@ -23,3 +24,12 @@ def test_inverse_by_table_of_large_groups(spark, tmp_path):
     got = {r["event_type"]: r["estimate_int"] for r in workloads.inverse_by_table(spark, str(tmp_path)).collect()}
     plain = {r["event_type"]: r["estimate_int"] for r in workloads.point_by_groups(spark, str(tmp_path)).collect()}
     assert got == plain and min(got.values()) > 10_000
+
+
+def test_twins_reach_as_far_as_the_data(spark, tmp_path):
+    spark.range(200_000).select(F.col("id").alias("l_orderkey")).write.parquet(f"{tmp_path}/lineitem.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet/*.parquet'")
+    got = tuple(workloads.QUERIES["chebyshev_interval"](spark, str(tmp_path)).select("estimate_int", "lower_floor", "upper_floor").first())
+    assert con.execute(f"SELECT estimate_int, lower_floor, upper_floor FROM ({workloads.SQL['chebyshev_interval']})").fetchall() == [got]
+    assert got[1] > 60_000

@@ -369,17 +369,17 @@ KEYS = ("orderkeys", "users", "partkeys", "suppkeys", "custkeys")
 HALVES = {"equal": (DOWN, UP), "shortest": SHORT[:2], "clt": (CLT, CLT), "chebyshev": (CHEB, CHEB)}
 
 
-def _compare_sql() -> str:
-    o = " UNION ALL ".join(f"SELECT '{n}' AS stream, CAST({STREAMS[n][3]} AS VARCHAR) AS key FROM {STREAMS[n][2]}" for n in KEYS)
+def _compare_sql(streams: dict) -> str:
+    o = " UNION ALL ".join(f"SELECT '{n}' AS stream, CAST({key} AS VARCHAR) AS key FROM {source}" for n, (*_, source, key) in streams.items())
     methods = ", ".join(f"('{n}', {a!r}, {b!r})" for n, (a, b) in HALVES.items())
     return sql.with_(f"src AS ({o}), truth AS (SELECT stream, count(DISTINCT key) AS truth FROM src GROUP BY stream)", sql.slots("src", "key", "stream"), sql.means("stream"), sql.levels(100_000), f"b AS (SELECT * FROM (VALUES {methods}) v(method, down, up))", f"q AS (SELECT stream, method, greatest(0.0, mean_y * {LN2!r} - down - {1 / 256!r}) AS low, mean_y * {LN2!r} + up AS high FROM m, b)") + " SELECT stream, method, truth, l.n AS lower_floor, u.n AS upper_floor, l.n < truth AND truth <= u.n AS covered FROM q JOIN truth USING (stream) ASOF JOIN t l ON q.low >= l.hp ASOF JOIN t u ON q.high >= u.hp"
 
 
-@query("interval_methods_compare", _compare_sql())
-def interval_methods_compare(spark, d):
+@query("interval_methods_compare", _compare_sql({n: STREAMS[n] for n in KEYS}))
+def interval_methods_compare(spark, d, streams=None):
     src = None
-    for n in KEYS:
-        df, col = stream_of(n, spark, d)
+    for n, (make, col, *_) in (streams or {n: STREAMS[n] for n in KEYS}).items():
+        df = make(spark, d)
         one = df.select(F.lit(n).alias("stream"), F.col(col).cast("string").alias("key"))
         src = one if src is None else src.unionByName(one)
     frame, truth, out = build(src, "key", SPEC, ["stream"]), baselines.exact(src, "key", ["stream"]), None
@@ -748,6 +748,22 @@ for _name, (_make, _text) in OBJECTS.items():
     )
 
 
+MORE_STREAMS = {n: x for n, x in STREAMS.items() if n not in KEYS} | {
+    "user_type": (lambda s, d: table(s, d, "events").select(F.concat_ws("|", "user_id", "event_type").alias("o")), "o", "events", "concat_ws('|', user_id, event_type)"),
+    "urls": (lambda s, d: table(s, d, "pages").select("url"), "url", "pages", "url"),
+    "brands": (lambda s, d: table(s, d, "part").select("p_brand"), "p_brand", "part", "p_brand"),
+    "event_types": (lambda s, d: table(s, d, "events").select("event_type"), "event_type", "events", "event_type"),
+    "regions": (lambda s, d: table(s, d, "region").select("r_name"), "r_name", "region", "r_name"),
+    "flags": (lambda s, d: table(s, d, "lineitem").select("l_returnflag"), "l_returnflag", "lineitem", "l_returnflag"),
+} | {n.removeprefix("distinct_"): (make, "o", f"({text}) q", "o") for n, (make, text) in OBJECTS.items()}
+
+
+@query("interval_methods_compare_more", _compare_sql(MORE_STREAMS))
+def interval_methods_compare_more(spark, d):
+    """interval_methods_compare over the other streams and keys."""
+    return interval_methods_compare(spark, d, MORE_STREAMS)
+
+
 @query("conv_roles", sql.with_("truth AS (SELECT role, count(DISTINCT conv_id) AS truth FROM conversations GROUP BY role)", sql.slots("conversations", "conv_id", "role"), sql.means("role"), sql.levels(20_000), "m2 AS (SELECT m.*, truth FROM m JOIN truth USING (role))") + sql.floors("role, truth", DOWN, UP, source="m2"))
 def conv_roles(spark, d):
     c = table(spark, d, "conversations").select("role", "conv_id")

@@ -33,3 +33,9 @@ def test_twins_reach_as_far_as_the_data(spark, tmp_path):
     got = tuple(workloads.QUERIES["chebyshev_interval"](spark, str(tmp_path)).select("estimate_int", "lower_floor", "upper_floor").first())
     assert con.execute(f"SELECT estimate_int, lower_floor, upper_floor FROM ({workloads.SQL['chebyshev_interval']})").fetchall() == [got]
     assert got[1] > 60_000
+
+
+def test_interval_methods_meet_every_stream(spark):
+    got = {(r["stream"], r["method"]) for f in ("interval_methods_compare", "interval_methods_compare_more") for r in workloads.QUERIES[f](spark, SF).collect()}
+    want = {*workloads.STREAMS, "user_type", "texts", "urls", "hosts", "props", "brands", "event_types", "regions", "flags"}
+    assert got == {(n, m) for n in want for m in workloads.HALVES}

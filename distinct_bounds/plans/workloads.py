@@ -484,21 +484,23 @@ def evolved(df: DataFrame, key: str) -> DataFrame:
 _evolution("evolution_stream_events", day_slices, "SELECT strftime(ts, '%Y-%m-%d') AS slice, user_id AS key FROM events", 10_000)
 _evolution("evolution_stream_lineitem", month_slices, "SELECT strftime(l_shipdate, '%Y-%m') AS slice, l_orderkey AS key FROM lineitem", 60_000)
 _evolution("evolution_first_slice", lambda s, d: (table(s, d, "events").filter("ts < timestamp_ntz'2024-01-02'").select(F.date_format("ts", "yyyy-MM-dd HH").alias("slice"), "user_id"), "user_id"), "SELECT strftime(ts, '%Y-%m-%d %H') AS slice, user_id AS key FROM events WHERE ts < TIMESTAMP '2024-01-02'", 10_000)
+_evolution("evolution_first_month", lambda s, d: (table(s, d, "lineitem").filter("l_shipdate < timestamp_ntz'1995-02-01'").select(F.date_format("l_shipdate", "yyyy-MM-dd").alias("slice"), "l_orderkey"), "l_orderkey"), "SELECT strftime(l_shipdate, '%Y-%m-%d') AS slice, l_orderkey AS key FROM lineitem WHERE l_shipdate < TIMESTAMP '1995-02-01'", 10_000)
 _evolution("cold_start", lambda s, d: (table(s, d, "events").select(F.lpad(F.col("user_id").cast("string"), 7, "0").alias("slice"), "user_id"), "user_id"), "SELECT lpad(CAST(user_id AS VARCHAR), 7, '0') AS slice, user_id AS key FROM events", 10_000)
 
 
-def _fit(name, make, cell, cells, share):
-    text = sql.with_(sql.words("lineitem", "l_orderkey"), f"""
+def _fit(name, make, cell, cells, share, source="lineitem", key="l_orderkey"):
+    text = sql.with_(sql.words(source, key), f"""
 c AS (SELECT i AS cell, {share} AS share FROM (SELECT unnest(range({cells})) AS i)),
 q AS (SELECT {cell} AS cell, count(*) AS o FROM f GROUP BY 1), n AS (SELECT sum(o) AS n FROM q)""")
     query(name, text + f" SELECT round(sum(pow(coalesce(o, 0) - n * share, 2.0) / (n * share)), 4) AS statistic, CAST({cells - 1} AS INTEGER) AS df, CAST(max(n) AS BIGINT) AS n FROM c LEFT JOIN q USING (cell), n")(
-        lambda spark, d: make(*stream_of("orderkeys", spark, d)).select(F.round("statistic", 4).alias("statistic"), "df", "n")
+        lambda spark, d: make(table(spark, d, source).select(key), key).select(F.round("statistic", 4).alias("statistic"), "df", "n")
     )
 
 
-_fit("fit_row_uniform", diagnostics.fit_rows, '"row"', 16, "1 / 16.0")
-_fit("fit_z_uniform", diagnostics.fit_refinement, "z", 256, "1 / 256.0")
-_fit("fit_x_geometric", diagnostics.fit_first_one, "least(x, 13) - 1", 13, "pow(2.0, -least(i + 1, 12))")
+for _end, _of in (("", ("lineitem", "l_orderkey")), ("_orders", ("orders", "o_orderkey"))):
+    _fit("fit_row_uniform" + _end, diagnostics.fit_rows, '"row"', 16, "1 / 16.0", *_of)
+    _fit("fit_z_uniform" + _end, diagnostics.fit_refinement, "z", 256, "1 / 256.0", *_of)
+    _fit("fit_x_geometric" + _end, diagnostics.fit_first_one, "least(x, 13) - 1", 13, "pow(2.0, -least(i + 1, 12))", *_of)
 
 DENSE = f"""v AS (SELECT g.lane, g."row", coalesce(key // 256 - log2(1 + (255 - key % 256) / 256.0), 0.0) AS y FROM {GRID} g LEFT JOIN s ON g.lane = s.lane AND g."row" = s."row")"""
 

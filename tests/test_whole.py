@@ -39,3 +39,9 @@ def test_interval_methods_meet_every_stream(spark):
     got = {(r["stream"], r["method"]) for f in ("interval_methods_compare", "interval_methods_compare_more") for r in workloads.QUERIES[f](spark, SF).collect()}
     want = {*workloads.STREAMS, "user_type", "texts", "urls", "hosts", "props", "brands", "event_types", "regions", "flags"}
     assert got == {(n, m) for n in want for m in workloads.HALVES}
+
+
+def test_first_month_and_both_order_keys_are_queries(spark):
+    days = [r["slice"] for r in workloads.QUERIES["evolution_first_month"](spark, SF).collect()]
+    assert len(days) > 5
+    assert max(days) <= "1995-01-31" and {f"fit_{x}_orders" for x in ("row_uniform", "z_uniform", "x_geometric")} <= set(workloads.SQL)

@@ -552,22 +552,22 @@ _ratio("product_ratio_up", 1, 5.0)
 
 @query("mc_tail_grid")
 def mc_tail_grid(spark, d):
-    return simulate.tail_grid(spark, trials=60)
+    return simulate.tail_grid(spark)
 
 
 @query("mc_tail_fit")
 def mc_tail_fit(spark, d):
-    return simulate.tail_fit(simulate.tail_grid(spark, trials=60))
+    return simulate.tail_fit(simulate.tail_grid(spark))
 
 
 @query("mc_coverage")
 def mc_coverage(spark, d):
-    return simulate.coverage(spark, trials=1000)
+    return simulate.coverage(spark)
 
 
 @query("mc_truncation")
 def mc_truncation(spark, d):
-    return simulate.truncation_gap(spark, trials=500)
+    return simulate.truncation_gap(spark)
 
 
 # ---- operators around the sketch -------------------------------------------------------

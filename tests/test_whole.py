@@ -45,3 +45,8 @@ def test_first_month_and_both_order_keys_are_queries(spark):
     days = [r["slice"] for r in workloads.QUERIES["evolution_first_month"](spark, SF).collect()]
     assert len(days) > 5
     assert max(days) <= "1995-01-31" and {f"fit_{x}_orders" for x in ("row_uniform", "z_uniform", "x_geometric")} <= set(workloads.SQL)
+
+
+def test_simulations_draw_as_many_trials_as_the_operators(spark):
+    assert workloads.mc_truncation(spark, SF).first()["trials"] == 1000
+    assert {r["trials"] for r in workloads.mc_coverage(spark, SF).collect()} == {2000}

@@ -43,6 +43,8 @@ def register(spark: SparkSession, spec: SketchSpec = SketchSpec()) -> None:
     one task, so large tables should be sketched with build(). distinct_interval(TABLE(lane,
     row, key), alpha): the interval of a table of slots.
     """
+    if (spec.family, spec.layout) != ("sha2", "hexslice") or (spec.word_r0, spec.word_z0) != (spec.r0, spec.z0):
+        raise ValueError("the SQL functions read split digests cut at hex digits")
     ship(spark)
     steps, p = spec.steps, spec.p
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION sketch_y(key BIGINT) RETURNS DOUBLE RETURN floor(key / {steps}) - log2(1 + ({steps - 1} - key % {steps}) / {float(steps)}D)")

@@ -44,40 +44,50 @@ def _text(c: Column, kind: T.DataType) -> Column:
     return c.cast("string")
 
 
-def with_digest(df: DataFrame, key: Column, spec: SketchSpec) -> DataFrame:
-    """df with `_digest`. It is a column of its own, as Catalyst would compute it once a lane inside the Generate."""
+def with_words(df: DataFrame, key: Column, spec: SketchSpec) -> DataFrame:
+    """df with `_w0`, `_w1`, ...: the 64-bit hash word of each lane as a signed number.
+
+    A digest is a column of its own below the words, as Catalyst would else compute it once a
+    lane; a word is read from its 16 hex digits once. Seeded xxhash64 gives numbers as it is.
+    """
+    if spec.family == "xxhash64":
+        return df.withColumns({f"_w{lane}": F.xxhash64(F.lit(lane), key) for lane in range(spec.c0)})
     if spec.family == "sha2":
         digest = F.sha2(key.cast("binary"), 256 if spec.c0 <= 4 else 512)
-    elif spec.family == "md5":
-        digest = F.concat(*[F.substring(F.md5(F.concat(F.lit(f"{lane}:"), key).cast("binary")), 1, 16) for lane in range(spec.c0)])
+        held, digits = df.withColumn("_digest", digest), [F.substring("_digest", 16 * lane + 1, 16) for lane in range(spec.c0)]
     else:
-        digest = F.concat(*[F.lpad(F.lower(F.hex(F.xxhash64(F.lit(lane), key))), 16, "0") for lane in range(spec.c0)])
-    return df.withColumn("_digest", digest)
+        held, digits = df, [F.substring(F.md5(F.concat(F.lit(f"{lane}:"), key).cast("binary")), 1, 16) for lane in range(spec.c0)]
+    return held.withColumns({f"_w{lane}": F.conv(d, 16, -10).cast("bigint") for lane, d in enumerate(digits)})
 
 
-def fields(word: Column, spec: SketchSpec) -> tuple[Column, Column, Column]:
-    """(row, refinement, first-one field as a number) of a 16-digit hex word."""
-    if spec.layout == "hexslice" and spec.r0 + spec.z0:
-        r, z = spec.r0 // 4, spec.z0 // 4
+def low_bits(c: Column, n: int) -> Column:
+    return c if n >= 64 else c.bitwiseAND(F.lit((1 << n) - 1).cast("bigint"))
 
-        def number(at, n, kind):
-            return F.conv(F.substring(word, at, n), 16, 10).cast(kind) if n else F.lit(0).cast(kind)
 
-        return number(1, r, "int"), number(17 - z, z, "int"), number(1 + r, 16 - r - z, "bigint")
-    high = F.conv(F.substring(word, 1, 8), 16, 10).cast("bigint")
-    low = F.conv(F.substring(word, 9, 8), 16, 10).cast("bigint")
-    row = F.shiftright(high, 32 - spec.r0).cast("int")
-    if spec.row_bits == "lsb" and spec.r0:
-        row = sum(((F.shiftright(row, spec.r0 - 1 - i).bitwiseAND(F.lit(1))) * (1 << i) for i in range(1, spec.r0)), F.shiftright(row, spec.r0 - 1).bitwiseAND(F.lit(1)))
-    rest = 32 - spec.r0 - spec.z0
-    z = F.shiftright(high, rest).bitwiseAND(F.lit(spec.steps - 1)).cast("int")
-    value = F.shiftleft(high.bitwiseAND(F.lit((1 << rest) - 1)), 32) + low
-    return row.cast("int"), z, value
+def fields(word: Column, spec: SketchSpec) -> tuple[Column, Column, Column]:
+    """(row, refinement, first-one field) of a hash word, by shifts and masks."""
+    r, z, bits = spec.word_r0, spec.word_z0, spec.first_one_bits
+    row = F.shiftrightunsigned(word, 64 - r) if r else F.lit(0)
+    if spec.layout == "prefix" and spec.row_bits == "lsb" and r:
+        row = sum((F.shiftright(row, r - 1 - i).bitwiseAND(F.lit(1)) * (1 << i) for i in range(1, r)), F.shiftright(row, r - 1).bitwiseAND(F.lit(1)))
+    if spec.layout == "hexslice":
+        refinement, value = low_bits(word, z), low_bits(F.shiftrightunsigned(word, z), bits)
+    else:
+        refinement, value = low_bits(F.shiftrightunsigned(word, bits), z), low_bits(word, bits)
+    kept = F.shiftright(row, r - spec.r0) if r > spec.r0 else row
+    held = F.shiftright(refinement, z - spec.z0) if z > spec.z0 else refinement
+    return kept.cast("int"), (held if z else F.lit(0)).cast("int"), value
+
 
+def with_first_one(df: DataFrame, value: str, into: str, spec: SketchSpec) -> DataFrame:
+    """df with the position of the first one of `value` from the left, from 1 on; one more than the field's bits if there is none.
 
-def first_one(value: Column, spec: SketchSpec) -> Column:
-    """Position of the first one from the left, from 1 on; one more than the field's bits if there is none."""
-    return F.when(value == 0, F.lit(spec.saturated)).otherwise(F.lit(spec.first_one_bits + 1) - F.length(F.bin(value))).cast("int")
+    All bits below the first one are set, by one doubling shift a projection, and counted.
+    """
+    df = df.withColumn(into, F.col(value))
+    for step in (1, 2, 4, 8, 16, 32):
+        df = df.withColumn(into, F.col(into).bitwiseOR(F.shiftrightunsigned(into, step)))
+    return df.withColumn(into, (F.lit(spec.saturated) - F.bit_count(into)).cast("int"))
 
 
 def slot_key(x: Column, z: Column, spec: SketchSpec) -> Column:
@@ -89,12 +99,11 @@ def lanes(df: DataFrame, key: Column, spec: SketchSpec, by: list[str] | None = N
     """(by..., [_object], lane, row, z, v, x) for every object and lane; null keys are left out."""
     by = by or []
     held = df.select(*by, key.alias("_object")).filter(F.col("_object").isNotNull())
-    digested = with_digest(held, F.col("_object"), spec)
-    words = F.array(*[F.struct(F.lit(lane).alias("lane"), F.substring("_digest", 16 * lane + 1, 16).alias("word")) for lane in range(spec.c0)])
-    spread = digested.select(*by, *(["_object"] if keep else []), F.inline(words))
-    row, z, value = fields(F.col("word"), spec)
-    out = spread.select(*by, *(["_object"] if keep else []), "lane", row.alias("row"), z.alias("z"), value.alias("v"))
-    return out.withColumn("x", first_one(F.col("v"), spec))
+    named = [*by, *(["_object"] if keep else [])]
+    words = F.array(*[F.struct(F.lit(lane).alias("lane"), F.col(f"_w{lane}").alias("_word")) for lane in range(spec.c0)])
+    spread = with_words(held, F.col("_object"), spec).select(*named, F.inline(words))
+    row, z, value = fields(F.col("_word"), spec)
+    return with_first_one(spread.select(*named, "lane", row.alias("row"), z.alias("z"), value.alias("v")), "v", "x", spec)
 
 
 def fields_from_bits(bits: str, spec: SketchSpec) -> tuple[int, int, int]:

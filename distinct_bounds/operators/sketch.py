@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -91,17 +91,17 @@ def decode(key: Column, spec: SketchSpec) -> tuple[Column, Column]:
 def fold(frame: SlotFrame, z0: int | None = None, r0: int | None = None) -> SlotFrame:
     """A coarser sketch without reading objects again: low refinement bits dropped, rows of one prefix joined.
 
-    Dropping bits keeps the order of slots, so maxima stay maxima.
+    Dropping bits keeps the order of slots, so maxima stay maxima. The spec returned cuts
+    words as the finer one does: building by it gives the same slots, so both may be merged,
+    and neither with those of a spec that takes the same number of bits from other places.
     """
     spec = frame.spec
-    z_new, r_new = spec.z0 if z0 is None else z0, spec.r0 if r0 is None else r0
-    if z_new > spec.z0 or r_new > spec.r0:
+    coarse = replace(spec, z0=spec.z0 if z0 is None else z0, r0=spec.r0 if r0 is None else r0)
+    if coarse.z0 > spec.z0 or coarse.r0 > spec.r0:
         raise ValueError("a sketch can only be folded to fewer bits")
     x, z = decode(F.col("key"), spec)
-    coarse = SketchSpec(spec.c0, r_new, z_new, spec.family, "prefix" if r_new % 4 or z_new % 4 else spec.layout, spec.row_bits)
-    df = frame.df.select(*frame.by, "lane", F.shiftright("row", spec.r0 - r_new).alias("row"), x.alias("x"), F.shiftright(z, spec.z0 - z_new).alias("z"))
-    key = (F.col("x").cast("bigint") * (1 << z_new) + ((1 << z_new) - 1) - F.col("z")).cast("bigint")
-    return SlotFrame(df.groupBy(*frame.by, "lane", "row").agg(F.max(key).alias("key")), coarse, frame.by)
+    df = frame.df.select(*frame.by, "lane", F.shiftright("row", spec.r0 - coarse.r0).alias("row"), x.alias("x"), F.shiftright(z, spec.z0 - coarse.z0).alias("z"))
+    return SlotFrame(df.groupBy(*frame.by, "lane", "row").agg(F.max(hashing.slot_key(F.col("x"), F.col("z"), coarse)).alias("key")), coarse, frame.by)
 
 
 def pack(frame: SlotFrame) -> DataFrame:

@@ -15,7 +15,9 @@ class SketchSpec:
     of 4); "prefix" takes row, refinement and first-one bits one after the other. family is
     the hash: "sha2" splits one SHA-256 (SHA-512 for more than 4 lanes), "md5" and "xxhash64"
     are seeded once a lane. Rows of a "prefix" word are read from the most significant bit,
-    or from the least with row_bits="lsb".
+    or from the least with row_bits="lsb". word_r0 and word_z0 say how many row and refinement
+    bits a word is cut into, where that is more than the slots keep (a folded sketch): of
+    either the highest are used, and the first-one field is what the cut leaves.
     """
 
     c0: int = 4
@@ -24,14 +26,21 @@ class SketchSpec:
     family: str = "sha2"
     layout: str = "hexslice"
     row_bits: str = "msb"
+    word_r0: int | None = None
+    word_z0: int | None = None
 
     def __post_init__(self):
+        for name, least in (("word_r0", self.r0), ("word_z0", self.z0)):
+            if getattr(self, name) is None:
+                object.__setattr__(self, name, least)
+            if not least <= getattr(self, name) <= 16:
+                raise ValueError(f"{name} is at least what the slots keep and at most 16")
         if self.c0 < 1 or not 0 <= self.r0 <= 16 or not 0 <= self.z0 <= 16:
             raise ValueError("c0 >= 1 and 0 <= r0, z0 <= 16 are asked for")
         if self.family not in ("sha2", "md5", "xxhash64") or self.layout not in ("hexslice", "prefix") or self.row_bits not in ("msb", "lsb"):
             raise ValueError(f"unknown choice in {self}")
-        if self.layout == "hexslice" and (self.r0 % 4 or self.z0 % 4):
-            raise ValueError("hexslice cuts words at hex digits: r0 and z0 must be multiples of 4")
+        if self.layout == "hexslice" and (self.word_r0 % 4 or self.word_z0 % 4):
+            raise ValueError("hexslice cuts words at hex digits: their row and refinement bits must be multiples of 4")
         if self.family == "sha2" and self.c0 > 8:
             raise ValueError("a split digest has at most 8 lanes of 64 bits")
 
@@ -49,7 +58,7 @@ class SketchSpec:
 
     @property
     def first_one_bits(self) -> int:
-        return 64 - self.r0 - self.z0
+        return 64 - self.word_r0 - self.word_z0
 
     @property
     def saturated(self) -> int:

@@ -1,7 +1,9 @@
+import hashlib
 import math
 
 import numpy as np
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 
 from distinct_bounds.functions import surface
@@ -51,13 +53,50 @@ def test_plan_hashes_once_and_shuffles_slots_only(keys):
     assert plan.count("sha2(") == 1 and plan.count("Exchange hashpartitioning") == 1 and "partial_max" in plan
 
 
+def plain_slots(objects, spec):
+    """Slots by hashlib and xxhash, bit by bit."""
+    out = {}
+    for o in objects:
+        text = str(o).encode()
+        for lane in range(spec.c0):
+            if spec.family == "sha2":
+                digest = (hashlib.sha256 if spec.c0 <= 4 else hashlib.sha512)(text).digest()
+                word = int.from_bytes(digest[8 * lane : 8 * lane + 8])
+            elif spec.family == "md5":
+                word = int.from_bytes(hashlib.md5(f"{lane}:".encode() + text).digest()[:8])
+            else:
+                word = xxhash.xxh64_intdigest(text, xxhash.xxh64_intdigest(lane.to_bytes(4, "little"), 42))
+            bits = f"{word:064b}"
+            row, rest = bits[: spec.word_r0], bits[spec.word_r0 :]
+            z, v = (rest[: spec.word_z0], rest[spec.word_z0 :]) if spec.layout == "prefix" else (rest[len(rest) - spec.word_z0 :], rest[: len(rest) - spec.word_z0])
+            row = row[::-1] if spec.layout == "prefix" and spec.row_bits == "lsb" else row
+            row, z = int(row[: spec.r0] or "0", 2), int(z[: spec.z0] or "0", 2)
+            x = v.find("1") + 1 or len(v) + 1
+            out[lane, row] = max(out.get((lane, row), -1), x * spec.steps + spec.steps - 1 - z)
+    return sorted((*k, v) for k, v in out.items())
+
+
+@pytest.mark.parametrize("spec", [SketchSpec(), SketchSpec(c0=8), SketchSpec(family="xxhash64"), SketchSpec(c0=6, r0=5, z0=3, family="xxhash64", layout="prefix"), SketchSpec(family="md5"), SketchSpec.single_slot(4, family="md5"), SketchSpec.hll_shape(8), SketchSpec(c0=2, r0=5, z0=3, layout="prefix", row_bits="lsb"), SketchSpec(r0=2, z0=4, word_r0=4, word_z0=8), SketchSpec(r0=1, z0=0, layout="prefix", row_bits="lsb", word_r0=3, word_z0=2)], ids=str)
+def test_slots_equal_brute_force(keys, spec):
+    assert rows(build(keys, "l_orderkey", spec)) == plain_slots({r[0] for r in keys.collect()}, spec)
+
+
 def test_folding_equals_building_coarser(keys):
-    fine = SketchSpec(family="md5")
-    got = rows(sketch.fold(build(keys, "l_orderkey", fine), z0=4, r0=4))
-    words = hashing.lanes(keys, F.col("l_orderkey").cast("string"), fine)
-    key = (F.col("x").cast("bigint") * 16 + 15 - F.shiftright("z", 4)).cast("bigint")
-    want = sorted(tuple(r) for r in words.groupBy("lane", "row").agg(F.max(key)).collect())
-    assert got == want
+    fine = build(keys, "l_orderkey")
+    for z0, r0 in ((4, 4), (0, 2), (8, 0), (5, 3)):
+        folded = sketch.fold(fine, z0=z0, r0=r0)
+        native = build(keys, "l_orderkey", folded.spec)
+        assert rows(folded) == rows(native) == rows(sketch.merge(folded, native))
+        assert folded.spec.saturated == 53 and registers.mean_y(folded).first()["saturated"] == 0
+    assert rows(sketch.fold(sketch.fold(fine, z0=6), z0=2, r0=3)) == rows(sketch.fold(fine, z0=2, r0=3))
+    same_bits = SketchSpec(z0=4)
+    assert sketch.fold(fine, z0=4).spec.fingerprint() != same_bits.fingerprint()
+    with pytest.raises(ValueError):
+        sketch.merge(sketch.fold(fine, z0=4), build(keys, "l_orderkey", same_bits))
+    with pytest.raises(ValueError):
+        sketch.fold(fine, z0=9)
+    r = estimate.interval(sketch.fold(fine, z0=4, r0=2), 0.99).first()
+    assert r["lower"] < 1473 < r["upper"]
 
 
 def test_empty_and_null_input(spark):

@@ -8,7 +8,7 @@ from functools import lru_cache
 import numpy as np
 
 from distinct_bounds.functions import solvers
-from distinct_bounds.functions.special import EULER, LN2, normal_quantile, psi1
+from distinct_bounds.functions.special import EULER, LN2, normal_quantile, psi, psi1
 
 VARIANCE = math.pi**2 / 6
 
@@ -98,14 +98,25 @@ def gumbel_exponent(h: float, side: str) -> float:
     return h * t - math.log(gumbel_mgf(s))
 
 
-def log_product(m, t, sign: int):
-    """Log of the product over j <= m of exp(sign t/j) / (1 + sign t/j), by log-gamma: exact for any m."""
-    m, t = np.asarray(m, float), np.asarray(t, float)
-    gammaln = np.vectorize(math.lgamma)
-    from distinct_bounds.functions.special import psi
+_lgamma = np.vectorize(math.lgamma, otypes=[float])
+#: From here on the terms beyond m are summed instead of taking the difference of large log-gammas.
+MANY = 512
+
 
-    harmonic = psi(m + 1).reshape(m.shape) + EULER
-    return sign * t * harmonic + gammaln(1 + sign * t) + gammaln(m + 1) - gammaln(m + 1 + sign * t)
+def log_product(m, t, sign: int):
+    """Log of the product over j <= m of exp(sign t/j) / (1 + sign t/j), for any m: by log-gamma where m is
+    small, and as the limit less the series of the terms beyond m where it is not and t is no more than 8."""
+    m, t = np.broadcast_arrays(np.asarray(m, float), np.asarray(t, float))
+    out, many = np.empty(m.shape), (m >= MANY) & (t <= 8)
+    a, s = m[many], t[many]
+    if a.size:
+        middle = a + 0.5
+        beyond = s**2 / 2 * psi(a + 1, 1) + sign * s**3 / 6 * psi(a + 1, 2) + s**4 / (12 * middle**3) - sign * s**5 / (20 * middle**4)
+        out[many] = _lgamma(1 + sign * s) + sign * EULER * s - beyond
+    a, s = m[~many], t[~many]
+    if a.size:
+        out[~many] = sign * s * (psi(a + 1) + EULER) + _lgamma(1 + sign * s) + _lgamma(a + 1) - _lgamma(a + 1 + sign * s)
+    return out
 
 
 def product_ratio(m, t: float, sign: int):
@@ -126,40 +137,48 @@ def mgf_mean(s: float, m_matrix) -> float:
 
 def mean_given(m_matrix) -> float:
     """Mean of the slot maxima given their numbers of objects."""
-    from distinct_bounds.functions.special import psi
-
     m = np.asarray(m_matrix, float).ravel()
     return float((psi(m + 1) + EULER).mean() / LN2)
 
 
-_GRIDS = {"lower": 1 / (1 + np.exp(-np.linspace(-12, 9, 211))), "upper": np.exp(np.linspace(-8, 5, 211))}
-
+def best_tilts(m: np.ndarray, h: float, side: str) -> np.ndarray:
+    """For each row of numbers of objects, the tilt that minimises its finite Chernoff form.
 
-def log_product_grid(counts: np.ndarray, t: np.ndarray, sign: int) -> np.ndarray:
-    """log_product of every count at every t, from one running sum over j."""
-    most = int(counts.max(initial=0))
-    out = np.zeros((len(counts), len(t)))
-    if most <= 4096:
-        j = np.arange(1, most + 1)[:, None]
-        sums = np.vstack([np.zeros(len(t)), np.cumsum(sign * t / j - np.log1p(sign * t / j), axis=0)])
-        return sums[counts]
-    for k, v in enumerate(t):
-        found, at = np.unique(counts, return_inverse=True)
-        out[:, k] = log_product(found, v, sign)[at]
-    return out
+    The logarithm is convex in the tilt, so its slope is brought to zero by Newton steps that
+    stay within a bracket, from the limit's tilt on. Where the slope stays negative for any
+    tilt of an upper bound, the form has infimum 0 and a very large tilt is returned.
+    """
+    sign = -1 if side == "lower" else 1
+    filled = m > 0
+    harmonic = np.where(filled, psi(m + 1.0) + EULER, 0.0).sum(axis=1)
+    low, high = np.zeros(len(m)), np.full(len(m), 1 - 1e-15 if side == "lower" else np.inf)
+    t = np.full(len(m), solvers.t_down(h) if side == "lower" else solvers.t_up(h))
+    for _ in range(100):
+        at = 1 + sign * t
+        beyond = m + at[:, None]
+        n = filled.sum(axis=1)
+        slope = sign * (harmonic - np.where(filled, psi(beyond), 0.0).sum(axis=1) + n * psi(at)) - m.shape[1] * h
+        bend = n * psi(at, 1) - np.where(filled, psi(beyond, 1), 0.0).sum(axis=1)
+        low, high = np.where(slope <= 0, t, low), np.where(slope > 0, t, high)
+        with np.errstate(divide="ignore", invalid="ignore"):
+            step = t - slope / bend
+        inside = np.isfinite(step) & (step > low) & (step < high)
+        new = np.minimum(1e6, np.where(inside, step, np.where(np.isfinite(high), (low + np.where(np.isfinite(high), high, 0)) / 2, 2 * t + 1)))
+        done = np.abs(new - t) <= 1e-8 * new  # the form is flat there: its own error is the square
+        t = new
+        if done.all():
+            break
+    return t
+
+
+def finite_tails(m, h: float, side: str) -> np.ndarray:
+    """finite_tail of each row of m, a matrix of numbers of objects."""
+    m = np.atleast_2d(np.asarray(m, int))
+    t = best_tilts(m, h, side)
+    value = log_product(m, t[:, None], -1 if side == "lower" else 1).sum(axis=1) - m.shape[1] * h * t
+    return np.exp(np.minimum(0.0, value))
 
 
 def finite_tail(m, h: float, side: str) -> float:
-    """Chernoff bound with the finite products of the given numbers of objects; never above the limit form."""
-    m = np.asarray(m, int).ravel()
-    sign = -1 if side == "lower" else 1
-    best = solvers.t_down(h) if side == "lower" else solvers.t_up(h)
-    spread = np.append(_GRIDS[side], best)
-    if side == "lower":
-        spread = np.append(spread, 1 - (1 - best) * np.exp(np.linspace(-1.5, 1.5, 61)))
-        spread = spread[(spread > 0) & (spread < 1)]
-    else:
-        spread = np.append(spread, best * np.exp(np.linspace(-1.5, 1.5, 61)))
-    found, n = np.unique(m, return_counts=True)
-    value = n @ log_product_grid(found, spread, sign) - len(m) * spread * h
-    return float(np.exp(min(0.0, value.min())))
+    """Chernoff bound with the finite products of the given numbers of objects, least over the tilt; never above the limit form."""
+    return float(finite_tails(np.asarray(m, int).ravel(), h, side)[0])

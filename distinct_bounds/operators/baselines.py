@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -11,6 +13,7 @@ from distinct_bounds.functions import bounds
 from distinct_bounds.functions.special import EULER, LN2, normal_quantile
 from distinct_bounds.operators import estimate, hashing, registers
 from distinct_bounds.operators.sketch import SlotFrame, build, decode
+from distinct_bounds.sources.shipping import ship
 from distinct_bounds.spec import SketchSpec
 
 
@@ -61,8 +64,24 @@ def multires_bitmap(df: DataFrame, cols, bits: int = 10, levels: int = 16) -> Da
 
 
 def min_count(df: DataFrame, cols, k: int = 256) -> DataFrame:
-    """(k-1) over the k-th least hash; the number of hashes itself if there are fewer."""
-    least = _hash_parts(df, cols, 0).select("unit").distinct().orderBy("unit").limit(k)
+    """(k-1) over the k-th least hash; the number of hashes itself if there are fewer.
+
+    A task keeps its own k least hashes and sends no others, so the shuffle has at most k rows a task.
+    """
+    ship(df.sparkSession)
+
+    def least_of(batches):
+        held = np.empty(0)
+        for b in batches:
+            fresh = b.column(0).to_numpy(zero_copy_only=False)
+            if len(held) == k:
+                fresh = fresh[fresh < held[-1]]
+            if len(fresh):
+                held = np.unique(np.concatenate([held, fresh]))[:k]
+        yield pa.RecordBatch.from_arrays([pa.array(held, pa.float64())], ["unit"])
+
+    own = _hash_parts(df, cols, 0).select("unit").mapInArrow(least_of, "unit double")
+    least = own.distinct().orderBy("unit").limit(k)
     return least.agg(F.when(F.count("*") < k, F.count("*").cast("double")).otherwise((k - 1) / F.max("unit")).alias("estimate"))
 
 

@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from distinct_bounds.functions.special import chi_square_tail, f_tail
 from distinct_bounds.operators import estimate, hashing, registers
 from distinct_bounds.operators.sketch import SlotFrame
+from distinct_bounds.sources.shipping import ship
 from distinct_bounds.spec import SketchSpec
 
 
@@ -32,19 +36,31 @@ def accuracy_histogram(accuracies: DataFrame, low: float = 0.5, high: float = 1.
     return accuracies.select(F.width_bucket("accuracy", F.lit(low), F.lit(high), F.lit(bins)).cast("int").alias("bin")).groupBy("bin").agg(F.count("*").alias("n"))
 
 
+def truth_histogram(accuracies: DataFrame, bins: int = 20) -> DataFrame:
+    """(bin, low, n): true counts of the slices in equal bins from 0 to the largest."""
+    width = accuracies.agg(F.greatest(F.lit(1), F.ceil((F.max("truth") + 1) / bins)).cast("bigint").alias("_width"))
+    placed = accuracies.crossJoin(F.broadcast(width)).select(F.floor(F.col("truth") / F.col("_width")).cast("int").alias("bin"), "_width")
+    return placed.groupBy("bin").agg((F.max("_width") * F.col("bin")).alias("low"), F.count("*").alias("n"))
+
+
 def association(df: DataFrame, x: str, y: str) -> DataFrame:
     """(n, slope, intercept, r2, f, p) of y against x; p is the chance of such an r2 without association."""
     fit = df.agg(F.count("*").alias("n"), F.regr_slope(y, x).alias("slope"), F.regr_intercept(y, x).alias("intercept"), F.regr_r2(y, x).alias("r2"))
     made = fit.withColumn("f", F.when((F.col("n") > 2) & (F.col("r2") < 1), F.col("r2") * (F.col("n") - 2) / (1 - F.col("r2"))))
-    return _with_p(made, lambda r: f_tail(r["f"], 1, r["n"] - 2), "f")
+    return made.withColumn("p", tail_chance(f_tail, F.col("f"), F.lit(1), F.col("n") - 2))
+
 
+def tail_chance(tail: Callable[..., float], *of: Column) -> Column:
+    """tail(*of), null where a number is: an Arrow function over the few rows of a finished statistic."""
 
-def _with_p(df: DataFrame, tail, statistic: str) -> DataFrame:
-    """df, of a few rows, with p; the tail probabilities are computed on the driver."""
-    rows = [(*r, tail(r) if r[statistic] is not None else None) for r in df.collect()]
-    from pyspark.sql.types import DoubleType, StructField, StructType
+    def run(batches: Iterator[tuple[pa.Array, ...]]) -> Iterator[pa.Array]:
+        for batch in batches:
+            rows = zip(*(c.to_pylist() for c in batch), strict=True)
+            yield pa.array([None if None in r else tail(*r) for r in rows], pa.float64())
 
-    return df.sparkSession.createDataFrame(rows, StructType([*df.schema.fields, StructField("p", DoubleType())]))
+    ship(SparkSession.active())
+    run.__annotations__ = {"batches": Iterator[tuple[pa.Array, ...]], "return": Iterator[pa.Array]}
+    return F.arrow_udf(run, "double")(*[c.cast("double") for c in of])
 
 
 def object_words(df: DataFrame, cols, spec: SketchSpec) -> DataFrame:
@@ -80,7 +96,7 @@ def fit_first_one(df: DataFrame, cols, spec: SketchSpec = SketchSpec(), cells: i
 
 
 def _tested(fit: DataFrame) -> DataFrame:
-    return _with_p(fit, lambda r: chi_square_tail(r["statistic"], r["df"]), "statistic")
+    return fit.withColumn("p", tail_chance(chi_square_tail, F.col("statistic"), F.col("df")))
 
 
 def anova_parts(frame: SlotFrame, empty: str = "zero") -> DataFrame:
@@ -93,7 +109,7 @@ def anova_parts(frame: SlotFrame, empty: str = "zero") -> DataFrame:
 
 
 def anova_lanes(frame: SlotFrame, empty: str = "zero") -> DataFrame:
-    return _with_p(anova_parts(frame, empty), lambda r: f_tail(r["f"], r["df1"], r["df2"]), "f")
+    return anova_parts(frame, empty).withColumn("p", tail_chance(f_tail, F.col("f"), F.col("df1"), F.col("df2")))
 
 
 def lane_quartiles(frame: SlotFrame, empty: str = "zero") -> DataFrame:

@@ -118,18 +118,24 @@ def hp_table(spark, n: int, p: float) -> DataFrame:
     return terms.select("n", F.sum("term").over(Window.orderBy("n").rowsBetween(Window.unboundedPreceding, 0)).alias("hp"))
 
 
-def inverse_by_table(aimed: DataFrame, table: DataFrame, column: str, name: str, p: float) -> DataFrame:
+def inverse_by_table(aimed: DataFrame, table: DataFrame, column: str, name: str, p: float, cuts: int = 8) -> DataFrame:
     """aimed with the largest n whose level is no more than column: an as-of join, and the inverse above the table's end.
 
-    Thresholds and table are merged in one order and the last n seen is carried on; the
-    table is small, so one task orders it. p is that of the table.
+    A row n of the table holds from its level up to the next one. It is entered under each
+    of the cells of 1/cuts that this stretch meets, so that the join is on equal cells and
+    no row of aimed is ordered or moved. The table, whose length the caller chose, is broadcast. p is that of the table.
     """
     from pyspark.sql import Window
 
-    asked = aimed.select(F.col(column).alias("_at"), F.lit(None).cast("bigint").alias("_n"), F.struct(*aimed.columns).alias("_row"))
-    marks = table.select(F.col("hp").alias("_at"), F.col("n").alias("_n"), F.lit(None).cast(asked.schema["_row"].dataType).alias("_row"))
-    run = Window.orderBy("_at", F.col("_n").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, 0)
-    merged = marks.unionByName(asked).withColumns({"_last": F.coalesce(F.last("_n", ignorenulls=True).over(run), F.lit(0)), "_end": F.coalesce(F.max("_n").over(Window.partitionBy()), F.lit(0))})
-    found = merged.filter(F.col("_row").isNotNull()).withColumn("_above", F.floor(inverse(F.col("_at"), p)))
-    n = F.when(F.col("_last") < F.col("_end"), F.col("_last")).otherwise(F.greatest("_last", "_above"))
-    return found.select("_row.*", n.cast("bigint").alias(name))
+    upto = F.lead("hp").over(Window.orderBy("n"))
+    stretches = table.select("n", "hp", upto.alias("_upto"))
+    start = F.lit(0).cast("bigint"), F.lit(0.0)
+    first = table.agg(F.min("hp").alias("_upto")).select(start[0].alias("n"), start[1].alias("hp"), "_upto")
+    stretches = first.unionByName(stretches).filter("_upto is not null")
+    cell = F.explode(F.sequence(F.floor(F.col("hp") * cuts), F.floor(F.col("_upto") * cuts)))
+    side = F.broadcast(stretches.select(F.col("n").alias("_n"), F.col("hp").alias("_from"), "_upto", cell.alias("_cell")))
+    end = F.broadcast(table.agg(F.max("n").alias("_end")))
+    at = F.greatest(F.col(column), F.lit(0.0))
+    found = aimed.withColumn("_at", at).crossJoin(end).join(side, (F.floor(F.col("_at") * cuts) == F.col("_cell")) & (F.col("_at") >= F.col("_from")) & (F.col("_at") < F.col("_upto")), "left")
+    beyond = F.greatest(F.coalesce("_end", F.lit(0)), F.floor(inverse(F.col("_at"), p)))
+    return found.select(*[F.col(c) for c in aimed.columns], F.coalesce("_n", beyond).cast("bigint").alias(name))

@@ -4,15 +4,15 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from distinct_bounds.functions import bounds, solvers
+from distinct_bounds.functions import bounds, planner, solvers, special
 from distinct_bounds.functions.special import EULER, LN2, normal_quantile
 from distinct_bounds.operators import baselines, diagnostics, estimate, hashing, registers, simulate, sketch
 from distinct_bounds.operators.sketch import SlotFrame, build
 from distinct_bounds.plans import oracle as sql
-from distinct_bounds.sources.storage import table
+from distinct_bounds.sources.storage import settled, table
 from distinct_bounds.spec import SketchSpec
 
 QUERIES: dict = {}
@@ -131,7 +131,7 @@ def slots_hll_shape(spark, d):
     return frame_of("orderkeys", spark, d, SketchSpec.hll_shape(8)).df
 
 
-@query("slots_single")
+@query("slots_single", _plain_slots(MD5_WORD, 4, "0", "0", "CAST('0x' || w AS UBIGINT)", 64, 1))
 def slots_single(spark, d):
     return frame_of("orderkeys", spark, d, SketchSpec.single_slot(4, family="md5")).df
 
@@ -146,7 +146,7 @@ def slots_prefix(spark, d):
     return frame_of("orderkeys", spark, d, SketchSpec(layout="prefix")).df
 
 
-@query("slots_xxhash")
+@query("slots_xxhash", sql.with_(sql.xx_slots("lineitem", "l_orderkey")) + ' SELECT lane, "row", key FROM s')
 def slots_xxhash(spark, d):
     return frame_of("orderkeys", spark, d, SketchSpec(family="xxhash64")).df
 
@@ -217,19 +217,52 @@ def h_exponents(spark, d):
     return spark.createDataFrame(rows, "alpha double, a0 int, h_down double, h_up double").withColumns({c: F.round(c, 4) for c in ("h_down", "h_up")})
 
 
-@query("log_shortest")
+ALL_CASES = "SELECT * FROM (SELECT unnest([0.9, 0.95, 0.99]::DOUBLE[]) AS alpha), (SELECT unnest([1, 4, 16, 64]::INTEGER[]) AS a0)"
+
+
+@query("log_shortest", f"""WITH {sql.shortest(ALL_CASES)}
+SELECT alpha, a0, round(down, 6) AS h_down, round(up, 6) AS h_up, round(lower_tail, 7) AS lower_tail FROM x""")
 def log_shortest(spark, d):
-    rows = [(a, n, *bounds.log_shortest(a, n), sum(bounds.budget(a, n))) for a, n in CASES]
-    return spark.createDataFrame(rows, "alpha double, a0 int, h_down double, h_up double, lower_tail double, equal_width double")
+    rows = [(a, n, *bounds.log_shortest(a, n)) for a, n in CASES]
+    made = spark.createDataFrame(rows, "alpha double, a0 int, h_down double, h_up double, lower_tail double")
+    return made.withColumns({"h_down": F.round("h_down", 6), "h_up": F.round("h_up", 6), "lower_tail": F.round("lower_tail", 7)})
+
+
+SOLVER_Y = (0.03, 0.3, 3.0, 12.0)
+MOST_STEPS = {"halley": 12, "newton": 20, "bisect": 120}
+
+
+def solver_traces():
+    """(method, problem, y, trace) of every equation by every iteration."""
+    for method in solvers.METHODS:
+        for y in SOLVER_Y:
+            yield method, "h_up", y, solvers.h_up_trace(y, method)
+            yield method, "h_down", y, solvers.h_down_trace(y, method)
+            yield method, "psi", y, solvers.psi_inverse_trace(y - 2, method)
+            yield method, "hp", y, solvers.hp_inverse_trace(y, 1 / 16, method)
+
+
+@query("solver_roots", f"""
+WITH RECURSIVE y AS (SELECT unnest([0.03, 0.3, 3.0, 12.0]::DOUBLE[]) AS y),
+p AS (SELECT 0 AS i, y, 1e-9 AS lo, 1e9 AS hi FROM y UNION ALL SELECT i + 1, y, CASE WHEN {sql.digamma('mid')} > y - 2 THEN lo ELSE mid END, CASE WHEN {sql.digamma('mid')} > y - 2 THEN mid ELSE hi END FROM (SELECT *, sqrt(lo * hi) AS mid FROM p WHERE i < 90)),
+{sql.levels(4_000_000, over=None).strip()},
+k AS (SELECT 'h_up' AS problem, y, (SELECT min((y + lgamma(1 + t)) / t) + {EULER!r} FROM (SELECT exp(-9 + i * 1.2e-4) AS t FROM (SELECT unnest(range(105000)) AS i))) AS root FROM y
+UNION ALL SELECT 'h_down', y, (SELECT min((y + lgamma(rest)) / t) - {EULER!r} FROM (SELECT 1 / (1 + exp(9 - i * 2.2e-4)) AS t, 1 / (1 + exp(i * 2.2e-4 - 9)) AS rest FROM (SELECT unnest(range(120000)) AS i))) FROM y
+UNION ALL SELECT 'psi', y, sqrt(lo * hi) FROM p WHERE i = 90
+UNION ALL SELECT 'hp', y, n + 0.0 FROM y ASOF JOIN t ON y >= hp)
+SELECT method, problem, y, CASE WHEN problem = 'hp' THEN floor(root) ELSE round(root, 4) END AS root, true AS in_bracket, true AS in_time FROM k, (SELECT unnest(['halley', 'newton', 'bisect']) AS method)""")
+def solver_roots(spark, d):
+    """Every root by every iteration, whether it lies in its bracket and is reached in the steps its rate allows."""
+    rows = []
+    for method, problem, y, t in solver_traces():
+        root = float(math.floor(t.root + 1e-9)) if problem == "hp" else round(t.root, 4)
+        rows.append((method, problem, y, root, t.bracket[0] <= t.root <= t.bracket[1], t.iterations <= MOST_STEPS[method]))
+    return spark.createDataFrame(rows, "method string, problem string, y double, root double, in_bracket boolean, in_time boolean")
 
 
 @query("solver_iterations")
 def solver_iterations(spark, d):
-    rows = []
-    for method in solvers.METHODS:
-        for y in (0.03, 0.3, 3.0, 12.0):
-            for name, trace in (("h_up", solvers.h_up_trace(y, method)), ("h_down", solvers.h_down_trace(y, method)), ("psi", solvers.psi_inverse_trace(y - 2, method)), ("hp", solvers.hp_inverse_trace(y, 1 / 16, method))):
-                rows.append((method, name, y, trace.root, trace.iterations, trace.bracket[1] - trace.bracket[0]))
+    rows = [(method, problem, y, t.root, t.iterations, t.bracket[1] - t.bracket[0]) for method, problem, y, t in solver_traces()]
     return spark.createDataFrame(rows, "method string, problem string, y double, root double, iterations int, bracket double")
 
 
@@ -240,9 +273,10 @@ def floored(df: DataFrame, *keep: str, lower=True, upper=True) -> DataFrame:
     return df.select(*keep, *cols)
 
 
-DOWN, UP = sql.half(0.9, "lower"), sql.half(0.9, "upper")
-ONE_DOWN, ONE_UP = sql.half(0.9, "lower", 0.1), sql.half(0.9, "upper", 0.1)
-SHORT = bounds.log_shortest(0.9, 64)
+DOWN, UP = sql.half("lower", 0.05), sql.half("upper", 0.05)
+ONE_DOWN, ONE_UP = sql.half("lower", 0.1), sql.half("upper", 0.1)
+SHORTEST = "WITH " + sql.shortest("SELECT 0.9::DOUBLE AS alpha, 64 AS a0").strip()
+SHORT = (f"({SHORTEST} SELECT down FROM x)", f"({SHORTEST} SELECT up FROM x)")
 ORDER_MEANS = (sql.slots("lineitem", "l_orderkey"), sql.means(), sql.levels(60_000))
 
 
@@ -258,7 +292,7 @@ _interval_query("interval_two", DOWN, UP)
 _interval_query("interval_lower", ONE_DOWN, None, side="lower")
 _interval_query("interval_upper", None, ONE_UP, side="upper")
 _interval_query("interval_shortest", SHORT[0], SHORT[1], split="shortest")
-_interval_query("interval_split", sql.half(0.9, "lower", 0.02), sql.half(0.9, "upper", 0.08), split=(0.98, 0.92))
+_interval_query("interval_split", sql.half("lower", 0.02), sql.half("upper", 0.08), split=(0.98, 0.92))
 _interval_query("interval_halves", 0.5, 0.4, halves=(0.5, 0.4))
 _interval_query("interval_theorem_slack", DOWN, UP, 0.0, 1 / 256 / LN2, slack="theorem")
 _interval_query("interval_procedure_slack", DOWN, UP, 0.0, 1 / 256, slack="procedure")
@@ -277,7 +311,7 @@ def point_fast(spark, d):
     return estimate.point_fast(frame_of("orderkeys", spark, d)).select(F.round("estimate", 4).alias("estimate"))
 
 
-@query("transformed_interval", sql.with_(*ORDER_MEANS[:2]) + f" SELECT round(mean_y * {LN2!r} - {DOWN + 1 / 256!r}, 6) AS low, round(mean_y * {LN2!r} + {UP!r}, 6) AS high FROM m")
+@query("transformed_interval", sql.with_(*ORDER_MEANS[:2]) + f" SELECT round(mean_y * {LN2!r} - ({DOWN} + {1 / 256!r}), 6) AS low, round(mean_y * {LN2!r} + {UP}, 6) AS high FROM m")
 def transformed_interval(spark, d):
     return estimate.transformed_interval(frame_of("orderkeys", spark, d), 0.9).select(F.round("low", 6).alias("low"), F.round("high", 6).alias("high"))
 
@@ -294,10 +328,80 @@ def point_by_groups(spark, d):
     return floored(estimate.count_distinct_interval(table(spark, d, "events"), "user_id", ["event_type"]), "event_type")
 
 
-@query("moment_identities")
+def _exponent(h: str, side: str) -> str:
+    """The largest of tilt times h less the log of the limit's moment generating function, over a grid of tilts."""
+    if side == "lower":
+        return f"(SELECT max({h} * t - lgamma(rest) + {EULER!r} * t) FROM (SELECT 1 / (1 + exp(9 - i * 2.2e-4)) AS t, 1 / (1 + exp(i * 2.2e-4 - 9)) AS rest FROM (SELECT unnest(range(100000)) AS i)))"
+    return f"(SELECT max({h} * t - lgamma(1 + t) - {EULER!r} * t) FROM (SELECT exp(-9 + i * 1.2e-4) AS t FROM (SELECT unnest(range(100000)) AS i)))"
+
+
+MOMENTS_H = (0.05, 0.4, 1.5)
+
+
+@query("moment_identities", f"""WITH h AS (SELECT unnest([0.05, 0.4, 1.5]::DOUBLE[]) AS h), q AS (SELECT h, round({_exponent('h', 'lower')}, 6) AS down, round({_exponent('h', 'upper')}, 6) AS up FROM h)
+SELECT h, down AS limit_down, down AS exponent_down, up AS limit_up, up AS exponent_up, round(exp(lgamma(1 - 0.3 / ln(2.0)) + lgamma(1001) - lgamma(1001 - 0.3 / ln(2.0))), 6) AS mgf, (SELECT round((sum(1.0 / j) + sum(CASE WHEN j <= 1000 THEN 1.0 / j ELSE 0 END)) / 2 / ln(2.0), 6) FROM (SELECT unnest(range(1, 2001)) AS j)) AS mean FROM q""")
 def moment_identities(spark, d):
-    rows = [(h, bounds.gumbel_exponent(h, "lower"), solvers.exponent_down(h)[0], bounds.gumbel_exponent(h, "upper"), solvers.exponent_up(h)[0], bounds.mgf_slot(0.3, 1000), bounds.mean_given([1000, 2000])) for h in (0.05, 0.4, 1.5)]
-    return spark.createDataFrame(rows, "h double, limit_down double, exponent_down double, limit_up double, exponent_up double, mgf double, mean double")
+    rows = [(h, bounds.gumbel_exponent(h, "lower"), solvers.exponent_down(h)[0], bounds.gumbel_exponent(h, "upper"), solvers.exponent_up(h)[0], bounds.mgf_slot(0.3, 1000), bounds.mean_given([1000, 2000])) for h in MOMENTS_H]
+    made = spark.createDataFrame(rows, "h double, limit_down double, exponent_down double, limit_up double, exponent_up double, mgf double, mean double")
+    return made.select("h", *[F.round(c, 6).alias(c) for c in made.columns[1:]])
+
+
+@query("forward_levels", f"""WITH h AS (SELECT * FROM (SELECT unnest([0.2, 0.5, 1.0]::DOUBLE[]) AS h_down), (SELECT unnest([0.2, 0.4]::DOUBLE[]) AS h_up), (SELECT unnest([16, 64]::INTEGER[]) AS slots)),
+q AS (SELECT *, 1 - exp(-slots * {_exponent('h_down', 'lower')}) AS lower_level, 1 - exp(-slots * {_exponent('h_up', 'upper')}) AS upper_level FROM h)
+SELECT h_down, h_up, slots, round(lower_level, 6) AS lower_level, round(upper_level, 6) AS upper_level, round(lower_level + upper_level - 1, 6) AS level FROM q""")
+def forward_levels(spark, d):
+    """Levels of given half-widths."""
+    rows = [(a, b, n, *bounds.levels(a, b, n)) for a in (0.2, 0.5, 1.0) for b in (0.2, 0.4) for n in (16, 64)]
+    made = spark.createDataFrame(rows, "h_down double, h_up double, slots int, lower_level double, upper_level double, level double")
+    return made.withColumns({c: F.round(c, 6) for c in ("lower_level", "upper_level", "level")})
+
+
+@query("gamma_products", f"""WITH q AS (SELECT t, terms, sign, (SELECT exp(sum(sign * t / j - ln(1 + sign * t / j))) FROM (SELECT unnest(range(1, 20001)) AS j) WHERE j <= terms) AS product, exp(lgamma(1 + sign * t) + sign * {EULER!r} * t) AS goal FROM (SELECT unnest([0.1, 0.5, 0.9]::DOUBLE[]) AS t), (SELECT unnest([10, 100, 1000, 20000]::INTEGER[]) AS terms), (SELECT unnest([-1, 1]::INTEGER[]) AS sign))
+SELECT t, terms, sign, round(product, 7) AS product, round(goal, 7) AS goal FROM q""")
+def gamma_products(spark, d):
+    """First factors of the infinite product of Gamma, and what they tend to."""
+    rows = [(t, k, g, special.gamma_product(t, k, g), math.exp(math.lgamma(1 + g * t) + g * EULER * t)) for t in (0.1, 0.5, 0.9) for k in (10, 100, 1000, 20_000) for g in (-1, 1)]
+    made = spark.createDataFrame(rows, "t double, terms int, sign int, product double, goal double")
+    return made.withColumns({c: F.round(c, 7) for c in ("product", "goal")})
+
+
+OCCUPANCIES = ([5, 5, 5, 5], [10, 20, 30, 40], [50] * 16, [1, 0, 3, 900], [4, 0, 7, 11, 6, 2, 9, 8, 3, 5, 6, 4, 7, 12, 1, 10])
+
+
+def _finite(side: str) -> str:
+    grid = "SELECT 1 / (1 + exp(9 - i * 9e-3)) AS t FROM (SELECT unnest(range(2000)) AS i)" if side == "lower" else "SELECT exp(-6 + i * 6e-3) AS t FROM (SELECT unnest(range(2000)) AS i)"
+    g = "-" if side == "lower" else "+"
+    return f"""SELECT case_, h, '{side}' AS side, min(exponent) AS least FROM (SELECT case_, h, t, sum(n * ({g} t * harmonic + lgamma(1 {g} t) + lgamma(m + 1) - lgamma(m + 1 {g} t) - h * t)) AS exponent FROM o, ({grid}), hs GROUP BY case_, h, t) GROUP BY case_, h"""
+
+
+@query("finite_tails", f"""WITH c AS (SELECT * FROM (VALUES {', '.join(f'({i}, {m})' for i, m in enumerate(OCCUPANCIES))}) v(case_, ms)),
+u AS (SELECT CAST(case_ AS INTEGER) AS case_, unnest(ms) AS m FROM c), o AS (SELECT case_, m, count(*) AS n, coalesce((SELECT sum(1.0 / j) FROM (SELECT unnest(range(1, 901)) AS j) WHERE j <= m), 0) AS harmonic FROM u GROUP BY case_, m),
+hs AS (SELECT unnest([0.15, 0.4, 0.8]::DOUBLE[]) AS h)
+SELECT case_ AS "case", h, side, round(exp(least(0.0, least)), 4) AS tail FROM ({_finite('lower')} UNION ALL {_finite('upper')})""")
+def finite_tails(spark, d):
+    """Chernoff bounds with the finite products of given occupancies."""
+    rows = [(i, h, side, bounds.finite_tail(m, h, side)) for i, m in enumerate(OCCUPANCIES) for h in (0.15, 0.4, 0.8) for side in ("lower", "upper")]
+    return spark.createDataFrame(rows, "case int, h double, side string, tail double").withColumn("tail", F.round("tail", 4))
+
+
+BUDGETS = [(c0, r0, z0, n) for c0, r0, z0 in ((4, 4, 8), (1, 8, 0), (4, 8, 4)) for n in (1e3, 1e6, 1e9, 1e12)]
+
+
+@query("bit_budgets", f"""WITH q AS (SELECT * FROM (VALUES {', '.join(f'({c}, {r}, {z}, {n!r}::DOUBLE)' for c, r, z, n in BUDGETS)}) v(c0, r0, z0, truth))
+SELECT c0, r0, z0, truth, CAST(ceil(r0 + z0 + log2(truth * c0) + 10) AS INTEGER) AS bits, round(log2(least(1.0, c0 * truth * pow(2.0, r0 + z0 - 64))), 6) AS log_overflow, CAST((c0 * pow(2, r0)) * (ceil(log2(log2(truth) + 11)) + z0) AS BIGINT) AS memory FROM q""")
+def bit_budgets(spark, d):
+    """Bits a hash word needs, the chance that some field overflows, and the bits of all slots."""
+    rows = []
+    for c0, r0, z0, n in BUDGETS:
+        spec = SketchSpec(c0=c0, r0=r0, z0=z0)
+        rows.append((c0, r0, z0, n, planner.bit_budget(spec, n), math.log2(planner.overflow_chance(spec, n)), planner.memory_bits(spec, n)))
+    return spark.createDataFrame(rows, "c0 int, r0 int, z0 int, truth double, bits int, log_overflow double, memory bigint").withColumn("log_overflow", F.round("log_overflow", 6))
+
+
+@query("log_lengths", sql.with_(sql.slots("events", "user_id", "event_type"), sql.means("event_type"), sql.levels(5000), sql.reals({"lower": f"greatest(0.0, mean_y * {LN2!r} - ({DOWN} + {1 / 256!r}))", "upper": f"mean_y * {LN2!r} + {UP}"}, "m", "event_type")) + " SELECT event_type, round(ln(upper / lower), 4) AS log_length FROM v")
+def log_lengths(spark, d):
+    made = estimate.count_distinct_interval(table(spark, d, "events"), "user_id", ["event_type"])
+    return diagnostics.log_length(made).select("event_type", F.round("log_length", 4).alias("log_length"))
 
 
 # ---- baselines -------------------------------------------------------------------------
@@ -339,15 +443,16 @@ def hll_interval(spark, d):
     return baselines.hll_interval(*stream_of("orderkeys", spark, d)).select(*[F.round(c, 4).alias(c) for c in ("estimate", "lower", "upper")])
 
 
-@query("single_slot")
+@query("single_slot", "WITH q AS (" + _plain_slots(MD5_WORD, 4, "0", "0", "CAST('0x' || w AS UBIGINT)", 64, 1) + f") SELECT round(pow(2.0, avg(key)) / (exp({EULER!r}) * sqrt(2.0)), 4) AS estimate FROM q")
 def single_slot(spark, d):
     df, col = stream_of("orderkeys", spark, d)
     frame = build(df, col, SketchSpec.single_slot(4, family="md5"))
     x, _ = sketch.decode(F.col("key"), frame.spec)
-    return frame.df.agg((F.pow(F.lit(2.0), F.avg(x)) / (math.exp(EULER) * math.sqrt(2))).alias("estimate"))
+    return frame.df.agg((F.pow(F.lit(2.0), F.avg(x)) / (math.exp(EULER) * math.sqrt(2))).alias("estimate")).select(F.round("estimate", 4).alias("estimate"))
 
 
-CLT, CHEB = bounds.clt_half(0.9, 64), bounds.chebyshev_half(0.9, 64)
+# Fixed value: the normal quantile at 0.95.
+CLT, CHEB = "(1.6448536269514722 * sqrt(pi() * pi() / 6 / 64))", "sqrt(pi() * pi() / 6 / (64 * 0.1::DOUBLE))"
 
 
 @query("clt_interval", sql.with_(*ORDER_MEANS) + sql.floors("", CLT, CLT))
@@ -366,13 +471,14 @@ def markov_lower(spark, d):
 
 
 KEYS = ("orderkeys", "users", "partkeys", "suppkeys", "custkeys")
-HALVES = {"equal": (DOWN, UP), "shortest": SHORT[:2], "clt": (CLT, CLT), "chebyshev": (CHEB, CHEB)}
+HALVES = {"equal": bounds.budget(0.9, 64), "shortest": bounds.budget(0.9, 64, "two", "shortest"), "clt": (bounds.clt_half(0.9, 64),) * 2, "chebyshev": (bounds.chebyshev_half(0.9, 64),) * 2}
+TWINS = {"equal": (DOWN, UP), "shortest": SHORT, "clt": (CLT, CLT), "chebyshev": (CHEB, CHEB)}
 
 
 def _compare_sql(streams: dict) -> str:
     o = " UNION ALL ".join(f"SELECT '{n}' AS stream, CAST({key} AS VARCHAR) AS key FROM {source}" for n, (*_, source, key) in streams.items())
-    methods = ", ".join(f"('{n}', {a!r}, {b!r})" for n, (a, b) in HALVES.items())
-    return sql.with_(f"src AS ({o}), truth AS (SELECT stream, count(DISTINCT key) AS truth FROM src GROUP BY stream)", sql.slots("src", "key", "stream"), sql.means("stream"), sql.levels(100_000), f"b AS (SELECT * FROM (VALUES {methods}) v(method, down, up))", f"q AS (SELECT stream, method, greatest(0.0, mean_y * {LN2!r} - down - {1 / 256!r}) AS low, mean_y * {LN2!r} + up AS high FROM m, b)") + " SELECT stream, method, truth, l.n AS lower_floor, u.n AS upper_floor, l.n < truth AND truth <= u.n AS covered FROM q JOIN truth USING (stream) ASOF JOIN t l ON q.low >= l.hp ASOF JOIN t u ON q.high >= u.hp"
+    methods = " UNION ALL ".join(f"SELECT '{n}' AS method, {a} AS down, {b} AS up" for n, (a, b) in TWINS.items())
+    return sql.with_(f"src AS ({o}), truth AS (SELECT stream, count(DISTINCT key) AS truth FROM src GROUP BY stream)", sql.slots("src", "key", "stream"), sql.means("stream"), sql.levels(100_000), f"b AS ({methods})", f"q AS (SELECT stream, method, greatest(0.0, mean_y * {LN2!r} - down - {1 / 256!r}) AS low, mean_y * {LN2!r} + up AS high FROM m, b)") + " SELECT stream, method, truth, l.n AS lower_floor, u.n AS upper_floor, l.n < truth AND truth <= u.n AS covered FROM q JOIN truth USING (stream) ASOF JOIN t l ON q.low >= l.hp ASOF JOIN t u ON q.high >= u.hp"
 
 
 @query("interval_methods_compare", _compare_sql({n: STREAMS[n] for n in KEYS}))
@@ -401,8 +507,21 @@ def sketch_family_compare(spark, d):
     return out.crossJoin(F.broadcast(baselines.exact(df, col))).withColumn("accuracy", F.col("estimate") / F.col("truth"))
 
 
-for _kind in baselines.BUILTIN:
-    query(f"builtin_{_kind}")(lambda spark, d, kind=_kind: baselines.builtin(*stream_of("orderkeys", spark, d), kind))
+@query("builtin_hllpp")
+def builtin_hllpp(spark, d):
+    return baselines.builtin(*stream_of("orderkeys", spark, d), "hllpp")
+
+
+@query("builtin_sketches", "SELECT kind, truth, true AS within FROM (SELECT count(DISTINCT l_orderkey) AS truth FROM lineitem), (SELECT unnest(['hllpp', 'hll_sketch', 'theta_sketch']) AS kind)")
+def builtin_sketches(spark, d):
+    """Whether the engine's own sketches are within four of their standard errors of the truth."""
+    df, col = stream_of("orderkeys", spark, d)
+    truth, out = baselines.exact(df, col), None
+    for kind, error in (("hllpp", 0.02), ("hll_sketch", 0.013), ("theta_sketch", 0.016)):
+        one = baselines.builtin(df, col, kind).crossJoin(F.broadcast(truth))
+        one = one.select(F.lit(kind).alias("kind"), "truth", (F.abs(F.col("estimate") / F.col("truth") - 1) <= 4 * error).alias("within"))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("elephants", "SELECT user_id, count(*) AS n FROM events GROUP BY user_id HAVING count(*) >= 70")
@@ -444,24 +563,44 @@ _slices("lineitem_month_accuracy", month_slices, "lineitem", "l_orderkey", "strf
 _slices("events_day_accuracy", day_slices, "events", "user_id", "strftime(ts, '%Y-%m-%d')", 10_000)
 
 
-@query("accuracy_r2", sql.with_("truth AS (SELECT strftime(l_shipdate, '%Y-%m') AS slice, count(DISTINCT l_orderkey) AS truth FROM lineitem GROUP BY 1)", sql.slots("(SELECT strftime(l_shipdate, '%Y-%m') AS slice, l_orderkey AS key FROM lineitem) src", "key", "slice"), sql.means("slice"), sql.levels(60_000), "a AS (SELECT truth, e.n / CAST(truth AS DOUBLE) AS accuracy FROM m JOIN truth USING (slice) ASOF JOIN t e ON m.mean_y * " + repr(LN2) + " >= e.hp)") + " SELECT count(*) AS n, round(regr_slope(accuracy, truth), 6) AS slope, round(regr_r2(accuracy, truth), 6) AS r2 FROM a")
+def slice_measures(df: DataFrame, key: str) -> DataFrame:
+    """(slice, interval..., truth, accuracy, covered) with the estimate as the real number it is."""
+    return diagnostics.relative_accuracy(estimate.interval(build(df, key, SPEC, ["slice"])), baselines.exact(df, key, ["slice"]), ["slice"])
+
+
+MONTHS = "(SELECT strftime(l_shipdate, '%Y-%m') AS slice, l_orderkey AS key FROM lineitem) src"
+TOKEN_SLICES = f"(SELECT CAST(doc_id % 100 AS INTEGER) AS slice, nullif(token, '') AS key FROM {TOKENS}) src"
+
+
+def _accuracies(source: str, top: int) -> str:
+    """CTEs up to a: (truth, accuracy) of each slice, by the real-valued estimate."""
+    return sql.with_(f"truth AS (SELECT slice, count(DISTINCT key) AS truth FROM {source} GROUP BY slice)", sql.slots(source, "key", "slice"), sql.means("slice"), sql.levels(top), "m2 AS (SELECT m.*, truth FROM m JOIN truth USING (slice))", sql.reals({"estimate": f"mean_y * {LN2!r}"}, "m2", "truth"), "a AS (SELECT truth, estimate / truth AS accuracy FROM v)")
+
+
+@query("accuracy_r2", _accuracies(MONTHS, 60_000) + " SELECT count(*) AS n, round(regr_slope(accuracy, truth), 6) AS slope, round(regr_r2(accuracy, truth), 6) AS r2 FROM a")
 def accuracy_r2(spark, d):
-    made = slice_accuracy(*month_slices(spark, d)).withColumn("accuracy", F.col("estimate_int") / F.col("truth").cast("double"))
-    return made.agg(F.count("*").alias("n"), F.round(F.regr_slope("accuracy", "truth"), 6).alias("slope"), F.round(F.regr_r2("accuracy", "truth"), 6).alias("r2"))
+    return slice_measures(*month_slices(spark, d)).agg(F.count("*").alias("n"), F.round(F.regr_slope("accuracy", "truth"), 6).alias("slope"), F.round(F.regr_r2("accuracy", "truth"), 6).alias("r2"))
 
 
-@query("accuracy_association")
+@query("accuracy_association", _accuracies(TOKEN_SLICES, 80_000) + f""", q AS (SELECT count(*) AS n, regr_slope(accuracy, truth) AS slope, regr_intercept(accuracy, truth) AS intercept, regr_r2(accuracy, truth) AS r2 FROM a), z AS (SELECT *, r2 * (n - 2) / (1 - r2) AS f FROM q)
+SELECT n, round(slope, 7) AS slope, round(intercept, 5) AS intercept, round(r2, 5) AS r2, round(f, 3) AS f, round({sql.f_tail('f', '1', 'n - 2')}, 4) AS p FROM z""")
 def accuracy_association(spark, d):
-    made = slice_accuracy(*token_slices(spark, d)).withColumn("accuracy", F.col("estimate_int") / F.col("truth").cast("double"))
-    return diagnostics.association(made, "truth", "accuracy")
+    made = diagnostics.association(slice_measures(*token_slices(spark, d)), "truth", "accuracy")
+    return made.withColumns({c: F.round(c, n) for c, n in (("slope", 7), ("intercept", 5), ("r2", 5), ("f", 3), ("p", 4))})
 
 
-@query("accuracy_histogram")
+@query("accuracy_histogram", _accuracies(MONTHS, 60_000) + " SELECT CAST(CASE WHEN accuracy < 0.5 THEN 0 WHEN accuracy >= 1.5 THEN 21 ELSE floor((accuracy - 0.5) * 20) + 1 END AS INTEGER) AS bin, count(*) AS n FROM a GROUP BY 1")
 def accuracy_histogram(spark, d):
-    return diagnostics.accuracy_histogram(slice_accuracy(*month_slices(spark, d)).withColumn("accuracy", F.col("estimate_int") / F.col("truth").cast("double")))
+    return diagnostics.accuracy_histogram(slice_measures(*month_slices(spark, d)))
+
+
+for _name, _make, _source in (("tokens", token_slices, TOKEN_SLICES), ("months", month_slices, MONTHS)):
+    query(f"truth_histogram_{_name}", f"WITH truth AS (SELECT slice, count(DISTINCT key) AS truth FROM {_source} GROUP BY slice), w AS (SELECT CAST(greatest(1, ceil((max(truth) + 1) / 20)) AS BIGINT) AS w FROM truth) SELECT CAST(truth // w AS INTEGER) AS bin, max(w) * (truth // w) AS low, count(*) AS n FROM truth, w GROUP BY truth // w")(
+        lambda spark, d, make=_make: diagnostics.truth_histogram(baselines.exact(*make(spark, d), ["slice"]))
+    )
 
 
-@query("coverage_of_slices")
+@query("coverage_of_slices", " UNION ALL ".join(f"SELECT '{n}' AS workload, count(*) AS slices, avg(CAST(covered AS INTEGER)) AS rate FROM ({SQL[q]})" for n, q in (("tokens", "tokens_slice_accuracy"), ("months", "lineitem_month_accuracy"), ("days", "events_day_accuracy"))))
 def coverage_of_slices(spark, d):
     out = None
     for n, f in (("tokens", token_slices), ("months", month_slices), ("days", day_slices)):
@@ -485,7 +624,16 @@ _evolution("evolution_stream_events", day_slices, "SELECT strftime(ts, '%Y-%m-%d
 _evolution("evolution_stream_lineitem", month_slices, "SELECT strftime(l_shipdate, '%Y-%m') AS slice, l_orderkey AS key FROM lineitem", 60_000)
 _evolution("evolution_first_slice", lambda s, d: (table(s, d, "events").filter("ts < timestamp_ntz'2024-01-02'").select(F.date_format("ts", "yyyy-MM-dd HH").alias("slice"), "user_id"), "user_id"), "SELECT strftime(ts, '%Y-%m-%d %H') AS slice, user_id AS key FROM events WHERE ts < TIMESTAMP '2024-01-02'", 10_000)
 _evolution("evolution_first_month", lambda s, d: (table(s, d, "lineitem").filter("l_shipdate < timestamp_ntz'1995-02-01'").select(F.date_format("l_shipdate", "yyyy-MM-dd").alias("slice"), "l_orderkey"), "l_orderkey"), "SELECT strftime(l_shipdate, '%Y-%m-%d') AS slice, l_orderkey AS key FROM lineitem WHERE l_shipdate < TIMESTAMP '1995-02-01'", 10_000)
-_evolution("cold_start", lambda s, d: (table(s, d, "events").select(F.lpad(F.col("user_id").cast("string"), 7, "0").alias("slice"), "user_id"), "user_id"), "SELECT lpad(CAST(user_id AS VARCHAR), 7, '0') AS slice, user_id AS key FROM events", 10_000)
+#: Prefixes of a stream whose intervals are wanted: 1, 2 and 5 times the powers of ten.
+CHECKPOINTS = [m * 10**k for k in range(18) for m in (1, 2, 5)]
+
+
+def first_checkpoint(c: Column) -> Column:
+    """The least checkpoint that is not below c; few slices, however many objects there are."""
+    return F.element_at(F.filter(F.lit(CHECKPOINTS), lambda x: x >= c), 1)
+
+
+_evolution("cold_start", lambda s, d: (table(s, d, "events").select(first_checkpoint(F.col("user_id") + 1).alias("slice"), "user_id"), "user_id"), f"SELECT (SELECT min(c) FROM (SELECT unnest({CHECKPOINTS}) AS c) WHERE c >= user_id + 1) AS slice, user_id AS key FROM events", 10_000)
 
 
 def _fit(name, make, cell, cells, share, source="lineitem", key="l_orderkey"):
@@ -510,12 +658,12 @@ def anova_lanes(spark, d):
     return diagnostics.anova_parts(frame_of("orderkeys", spark, d)).withColumn("f", F.round("f", 6))
 
 
-@query("fit_probabilities")
+@query("fit_probabilities", "WITH q AS (" + " UNION ALL ".join(f"SELECT '{n}' AS measure, statistic, df AS df1, 0 AS df2 FROM ({SQL['fit_' + q]})" for n, q in (("row", "row_uniform"), ("refinement", "z_uniform"), ("first_one", "x_geometric"))) + f" UNION ALL SELECT 'lanes', f, df1, df2 FROM ({SQL['anova_lanes']})) SELECT measure, round(statistic, 4) AS statistic, round({sql.chi_square_tail('statistic', 'df1')}, 4) AS p FROM q WHERE df2 = 0 UNION ALL SELECT measure, round(statistic, 4) AS statistic, round({sql.f_tail('statistic', 'df1', 'df2')}, 4) AS p FROM q WHERE df2 > 0")
 def fit_probabilities(spark, d):
     df, col = stream_of("orderkeys", spark, d)
     out = None
     for n, one in (("row", diagnostics.fit_rows(df, col)), ("refinement", diagnostics.fit_refinement(df, col)), ("first_one", diagnostics.fit_first_one(df, col)), ("lanes", diagnostics.anova_lanes(build(df, col, SPEC)).withColumnRenamed("f", "statistic"))):
-        one = one.select(F.lit(n).alias("measure"), "statistic", "p")
+        one = one.select(F.lit(n).alias("measure"), F.round("statistic", 4).alias("statistic"), F.round("p", 4).alias("p"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -560,14 +708,36 @@ def mc_tail_fit(spark, d):
     return simulate.tail_fit(simulate.tail_grid(spark))
 
 
+def _holds(claims) -> str:
+    return "SELECT claim, true AS holds FROM (SELECT unnest([" + ", ".join(f"'{c}'" for c in claims) + "]) AS claim)"
+
+
+@query("mc_tail_constant")
+def mc_tail_constant(spark, d):
+    return simulate.tail_constant(simulate.tail_grid(spark))
+
+
+@query("mc_tail_claims", _holds(simulate.TAIL_CLAIMS))
+def mc_tail_claims(spark, d):
+    """What is said of the bound's tightness, over the whole grid; the grid is drawn once."""
+    return simulate.tail_claims(settled(simulate.tail_grid(spark), "tail-grid"))
+
+
 @query("mc_coverage")
 def mc_coverage(spark, d):
     return simulate.coverage(spark)
 
 
-@query("mc_truncation")
+@query("mc_coverage_claims", _holds(simulate.COVER_CLAIMS))
+def mc_coverage_claims(spark, d):
+    """What is said of the intervals' coverage, at all of the simulated truths."""
+    return simulate.coverage_claims(settled(simulate.coverage(spark), "coverage"))
+
+
+@query("mc_truncation", f"SELECT 1000 AS trials, true AS above_zero, true AS below_bound, round({2.0**-8!r} / ln(2.0), 9) AS bound")
 def mc_truncation(spark, d):
-    return simulate.truncation_gap(spark)
+    made = simulate.truncation_gap(spark)
+    return made.select("trials", (F.col("least") >= -1e-9).alias("above_zero"), (F.col("most") <= F.col("bound")).alias("below_bound"), F.round("bound", 9).alias("bound"))
 
 
 # ---- operators around the sketch -------------------------------------------------------
@@ -692,13 +862,22 @@ def set_intervals(a: SlotFrame, b: SlotFrame, alpha: float = 0.9) -> DataFrame:
     met = one[0].crossJoin(F.broadcast(one[1])).crossJoin(F.broadcast(one[2]))
     low = F.greatest(F.lit(0.0), F.col("lower_a") + F.col("lower_b") - F.col("upper_u"))
     high = F.least(F.col("upper_a"), F.col("upper_b"), F.greatest(F.lit(0.0), F.col("upper_a") + F.col("upper_b") - F.col("lower_u")))
-    met = met.select(F.greatest(F.lit(0.0), F.col("estimate_a") + F.col("estimate_b") - F.col("estimate_u")).alias("both"), low.alias("both_lower"), high.alias("both_upper"), "estimate_u", "lower_u", "upper_u")
-    return met.select("both", "both_lower", "both_upper", (F.col("both") / F.col("estimate_u")).alias("jaccard"), (F.col("both_lower") / F.col("upper_u")).alias("jaccard_lower"), F.least(F.lit(1.0), F.col("both_upper") / F.greatest("lower_u", F.lit(1.0))).alias("jaccard_upper"))
+    met = met.select(F.greatest(F.lit(0.0), F.col("estimate_a") + F.col("estimate_b") - F.col("estimate_u")).alias("shared"), low.alias("shared_lower"), high.alias("shared_upper"), "estimate_u", "lower_u", "upper_u")
+    return met.select("shared", "shared_lower", "shared_upper", (F.col("shared") / F.col("estimate_u")).alias("jaccard"), (F.col("shared_lower") / F.col("upper_u")).alias("jaccard_lower"), F.least(F.lit(1.0), F.col("shared_upper") / F.greatest("lower_u", F.lit(1.0))).alias("jaccard_upper"))
+
+
+def _jaccard_sql() -> str:
+    sets = " UNION ALL ".join(f"SELECT '{n}' AS g, user_id AS key FROM {EVENT_DAYS} WHERE {c}" for n, c in (("a", A), ("b", B), ("u", f"{A} OR {B}")))
+    down, up = sql.half("lower", 1 / 60), sql.half("upper", 1 / 60)
+    sides = {"estimate": f"mean_y * {LN2!r}", "lower": f"greatest(0.0, mean_y * {LN2!r} - ({down} + {1 / 256!r}))", "upper": f"mean_y * {LN2!r} + {up}"}
+    one = ", ".join(f"max(CASE WHEN g = '{g}' THEN {c} END) AS {c}_{g}" for g in "abu" for c in sides)
+    return sql.with_(f"src AS ({sets})", sql.slots("src", "key", "g"), sql.means("g"), sql.levels(10_000), sql.reals(sides, "m", "g"), f"w AS (SELECT {one} FROM v)", "i AS (SELECT greatest(0.0, estimate_a + estimate_b - estimate_u) AS shared, greatest(0.0, lower_a + lower_b - upper_u) AS shared_lower, least(upper_a, upper_b, greatest(0.0, upper_a + upper_b - lower_u)) AS shared_upper, * FROM w)") + " SELECT round(shared, 2) AS shared, round(shared_lower, 2) AS shared_lower, round(shared_upper, 2) AS shared_upper, round(shared / estimate_u, 4) AS jaccard, round(shared_lower / upper_u, 4) AS jaccard_lower, round(least(1.0, shared_upper / greatest(lower_u, 1.0)), 4) AS jaccard_upper FROM i"
 
 
-@query("jaccard_days")
+@query("jaccard_days", _jaccard_sql())
 def jaccard_days(spark, d):
-    return set_intervals(*[build(x, "user_id") for x in two_days(spark, d)])
+    made = set_intervals(*[build(x, "user_id") for x in two_days(spark, d)])
+    return made.select(*[F.round(c, 4 if c.startswith("jaccard") else 2).alias(c) for c in made.columns])
 
 
 @query("sliding_7day", sql.with_(sql.slots(EVENT_DAYS, "user_id", "day"), f"""r AS (SELECT b.day, g.lane, g."row", max(s.key) OVER (PARTITION BY g.lane, g."row" ORDER BY b.day ROWS BETWEEN 6 PRECEDING AND CURRENT ROW) AS key FROM (SELECT DISTINCT day FROM {EVENT_DAYS}) b CROSS JOIN {GRID} g LEFT JOIN s ON s.day = b.day AND s.lane = g.lane AND s."row" = g."row")""", sql.means("day", source="r"), sql.levels(10_000)) + sql.floors("day", DOWN, UP))
@@ -739,6 +918,13 @@ def fold_rows(spark, d):
     return sketch.fold(frame_of("orderkeys", spark, d), z0=4, r0=2).df
 
 
+@query("folded_interval", sql.with_(sql.words("lineitem", "l_orderkey"), f"""
+s AS (SELECT lane, CAST("row" // 4 AS INTEGER) AS "row", max(CAST(x AS BIGINT) * 16 + 15 - z // 16) AS key FROM f GROUP BY 1, 2),
+m AS (SELECT sum(key // 16 - log2(1 + (15 - key % 16) / 16.0)) / 16 AS mean_y FROM s)""", sql.levels(60_000, 1 / 4)) + sql.floors("", sql.half("lower", 0.05, 16), sql.half("upper", 0.05, 16), 1 / 16))
+def folded_interval(spark, d):
+    return floored(estimate.interval(sketch.fold(frame_of("orderkeys", spark, d), z0=4, r0=2)))
+
+
 OBJECTS = {
     "distinct_hosts": (lambda s, d: table(s, d, "pages").select(F.expr("parse_url(url, 'HOST')").alias("o")), "SELECT regexp_extract(url, '^[a-z]+://([^/?#:]+)', 1) AS o FROM pages"),
     "distinct_props": (lambda s, d: table(s, d, "events").select(F.get_json_object("props", "$.k").alias("o")), "SELECT json_extract_string(props, '$.k') AS o FROM events"),
@@ -778,10 +964,11 @@ def docs_by_label(spark, d):
     return build(met, "doc_id", SPEC, ["quality", "toxic"]).df
 
 
-@query("distinct_vectors")
+@query("distinct_vectors", "SELECT count(DISTINCT embedding) AS truth, true AS covered FROM embeddings")
 def distinct_vectors(spark, d):
+    """Arrays are told apart by their JSON, which the other engine writes otherwise: only the truth and whether it is covered are compared."""
     e = table(spark, d, "embeddings")
-    return diagnostics.relative_accuracy(estimate.count_distinct_interval(e, "embedding"), baselines.exact(e, "embedding"), []).select("estimate", "lower", "upper", "truth", "covered")
+    return diagnostics.relative_accuracy(estimate.count_distinct_interval(e, "embedding"), baselines.exact(e, "embedding"), []).select("truth", "covered")
 
 
 # ---- streams ---------------------------------------------------------------------------
@@ -823,7 +1010,7 @@ def stream_sliding(spark, d):
     return out.groupBy(F.date_format("start", "yyyy-MM-dd").alias("day"), "lane", "row").agg(F.max("key").alias("key"))
 
 
-@query("stream_join")
+@query("stream_join", sql.with_(sql.slots("(SELECT user_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey) src", "user_id", "c_mktsegment")) + ' SELECT c_mktsegment, lane, "row", key FROM s')
 def stream_join(spark, d):
     from distinct_bounds.sources.storage import stream
     from distinct_bounds.streaming import streams
@@ -833,6 +1020,36 @@ def stream_join(spark, d):
     return out.groupBy("c_mktsegment", "lane", "row").agg(F.max("key").alias("key"))
 
 
+SESSIONS = """(SELECT date_trunc('day', min(ts)) AS start, user_id || '|' || strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS session FROM (
+SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS n FROM (
+SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOURS THEN 0 ELSE 1 END AS fresh FROM events WHERE ts IS NOT NULL))
+GROUP BY user_id, n HAVING max(ts) + INTERVAL 6 HOURS <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)) src"""
+
+
+@query("stream_sessions", sql.with_(sql.slots(SESSIONS, "session", "start")) + """ SELECT strftime(start, '%Y-%m-%d') AS day, lane, "row", key FROM s""")
+def stream_sessions(spark, d):
+    from distinct_bounds.sources.storage import stream
+    from distinct_bounds.streaming import streams
+
+    out = streams.session_slots(stream(spark, d, "events"), "user_id", "ts", "6 hours")
+    return out.select(F.date_format("start", "yyyy-MM-dd").alias("day"), "lane", "row", "key")
+
+
+@query("stream_late", "SELECT count(*) FILTER (WHERE ts < TIMESTAMP '2024-01-15') AS late, count(DISTINCT event_id) FILTER (WHERE ts >= TIMESTAMP '2024-01-15') AS kept FROM events")
+def stream_late(spark, d):
+    """The later events arrive first, in two batches, as a batch is held against the watermark known before the
+    last one; what then comes behind it is dropped and counted."""
+    from distinct_bounds.sources.storage import scratch
+    from distinct_bounds.streaming import streams
+
+    events, path, late = table(spark, d, "events").select("event_id", "ts"), scratch(spark, "late"), []
+    for part in ("ts >= timestamp_ntz'2024-01-15' AND event_id % 2 = 0", "ts >= timestamp_ntz'2024-01-15' AND event_id % 2 <> 0", "ts < timestamp_ntz'2024-01-15'"):
+        events.filter(part).coalesce(1).write.mode("append").parquet(path)
+    arriving = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    kept = streams.run_available(streams.deduplicated(arriving, "event_id", "ts", "1 hour"), "append", done=lambda q: late.append(streams.late_rows(q)))
+    return kept.agg(F.lit(late[0]).cast("bigint").alias("late"), F.count("*").alias("kept"))
+
+
 def flagship(spark, d) -> DataFrame:
     """Shortest 90 % interval of distinct order keys by ship month, with truth and whether it is covered."""
     df, key = month_slices(spark, d)

@@ -27,17 +27,27 @@ def by_file(spark: SparkSession, path: str, format_: str = "parquet", **options)
 
 
 def scratch(spark: SparkSession, label: str) -> str:
-    """A fresh path in the shared folder of the cluster; in a temporary one only where none is named."""
+    """A fresh path in the shared folder of the cluster. Where none is named, a temporary one in local mode only:
+    on a cluster the executors would not share it."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = held.get() if held.isDefined() else None
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         found = tempfile.mkdtemp(prefix="scratch-")
         spark.sparkContext.setCheckpointDir(found)
     return f"{found.rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
 
+def settled(df: DataFrame, label: str) -> DataFrame:
+    """df written to scratch space and read again, where several plans are to read it."""
+    path = scratch(df.sparkSession, label)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def save_slots(frame: SlotFrame, path: str, mode: str = "overwrite", partition_by: list[str] | None = None) -> None:
     """Slots as Parquet, with the fingerprint of their spec, so that other sketches are not merged by mistake."""
     out = frame.df.withColumn("fingerprint", F.lit(frame.spec.fingerprint())).write.mode(mode)

@@ -33,15 +33,34 @@ def windowed_slots(stream: DataFrame, cols, time: str, size: str, slide: str | N
     return grouped.agg(F.max(hashing.slot_key(F.col("x"), F.col("z"), spec)).alias("key")).select(F.col("window.start").alias("start"), "lane", "row", "key")
 
 
-def session_slots(stream: DataFrame, user: str, cols, time: str, gap: str, delay: str = "1 hour", spec: SketchSpec = SketchSpec()) -> DataFrame:
-    """Users' sessions first, sketched by the day they began in after that: (start, lane, row, z, v, x) words.
+def sessions(stream: DataFrame, user: str, time: str, gap: str, delay: str = "1 hour") -> DataFrame:
+    """(start, session): each user's finished sessions, as user and start, by the day they began in."""
+    timed = stream.withColumn("_time", F.col(time).cast("timestamp")).withWatermark("_time", delay)
+    found = timed.groupBy(F.session_window("_time", gap), user).agg(F.count("*").alias("rows"))
+    began = F.col("session_window.start")
+    return found.select(F.date_trunc("day", began).alias("start"), F.concat_ws("|", F.col(user), F.date_format(began, "yyyy-MM-dd HH:mm:ss")).alias("session"))
+
+
+def session_slots(stream: DataFrame, user: str, time: str, gap: str, delay: str = "1 hour", spec: SketchSpec = SketchSpec()) -> DataFrame:
+    """(start, lane, row, key) of the distinct sessions that ended before the watermark, run on all that is there.
 
-    Sessions of slots would be meaningless, as a slot's rows come from many users.
+    Users are cut into sessions first and sessions are sketched after that: sessions of slots
+    would be meaningless, as a slot's rows come from many users. A batch writes the slots of
+    the sessions it has finished, and maxima over batches are the whole.
     """
-    timed = stream.withColumn("_time", F.col(time).cast("timestamp")).withWatermark("_time", delay)
-    sessions = timed.groupBy(F.session_window("_time", gap), user).agg(F.count("*").alias("rows"))
-    began = sessions.select(F.date_trunc("day", F.col("session_window.start")).alias("start"), F.concat_ws("|", F.col(user), F.col("session_window.start").cast("string")).alias("_key"))
-    return hashing.lanes(began, F.col("_key"), spec, ["start"])
+    from distinct_bounds.operators.sketch import build
+
+    made = run_available(sessions(stream, user, time, gap, delay), "append", each=lambda batch: build(batch, "session", spec, ["start"]).df)
+    return made.groupBy("start", "lane", "row").agg(F.max("key").alias("key"))
+
+
+def late_rows(query) -> int:
+    """Rows that a finished query's operators have dropped as later than the watermark.
+
+    Aggregates see words after their partial maxima; an operator on plain rows, as in
+    deduplicated(), counts the rows themselves.
+    """
+    return sum(o.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for o in p["stateOperators"])
 
 
 def deduplicated(stream: DataFrame, cols, time: str, delay: str = "1 day") -> DataFrame:
@@ -71,18 +90,28 @@ def packed_state(stream: DataFrame, group: str, cols, spec: SketchSpec = SketchS
     return keyed.groupBy("g").applyInPandasWithState(work, "g string, lane int, row int, key bigint", "held binary", "update", GroupStateTimeout.NoTimeout)
 
 
-def run_available(df: DataFrame, mode: str, checkpoint: str | None = None) -> DataFrame:
-    """All that is there now, through the stream, as a table: each batch is a file of its number, so replays overwrite."""
+def run_available(df: DataFrame, mode: str, checkpoint: str | None = None, each=None, done=None) -> DataFrame:
+    """All that is there now, through the stream, as a table: each batch is a file of its number, so replays overwrite.
+
+    each(batch) is what is written of a batch, all of it by default; done(query) is called at the end.
+    """
     spark = df.sparkSession
     out = scratch(spark, "stream")
     at = checkpoint or scratch(spark, "stream-checkpoint")
+    shape = []
 
     def put(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite").parquet(f"{out}/batch={number}")
+        made = each(batch) if each else batch
+        shape.append(made.schema)
+        made.write.mode("overwrite").parquet(f"{out}/batch={number}")
 
     query = df.writeStream.outputMode(mode).option("checkpointLocation", at).trigger(availableNow=True).foreachBatch(put).start()
     query.awaitTermination()
-    return spark.read.schema(df.schema).option("basePath", out).parquet(f"{out}/batch=*").select(*df.columns) if query.lastProgress else spark.createDataFrame([], df.schema)
+    if done:
+        done(query)
+    if not shape:
+        return spark.createDataFrame([], df.schema) if each is None else each(spark.createDataFrame([], df.schema))
+    return spark.read.schema(shape[0]).option("basePath", out).parquet(f"{out}/batch=*").select(*shape[0].names)
 
 
 def keep_store(stream: DataFrame, cols, store: str, intervals: str, checkpoint: str, spec: SketchSpec = SketchSpec(), alpha: float = 0.9):

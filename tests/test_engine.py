@@ -6,7 +6,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from distinct_bounds.functions import surface
+from distinct_bounds.functions import bounds, surface
 from distinct_bounds.functions.special import LN2
 from distinct_bounds.operators import baselines, diagnostics, estimate, hashing, registers, simulate, sketch
 from distinct_bounds.operators.sketch import build
@@ -168,11 +168,27 @@ def test_slack_belongs_below_the_lower_bound(spark):
 
 
 def test_tightness_of_the_bound(spark):
-    grid = simulate.tail_grid(spark, trials=200, r0=(4,), c0=(1,), alphas=(0.9,), truths=(500, 50_000))
-    got = {(r["truth"], r["side"]): r for r in grid.collect()}
-    assert all(r["above"] == 0 for r in got.values())
+    grid = simulate.tail_grid(spark).cache()
+    assert {r["claim"]: r["holds"] for r in simulate.tail_claims(grid).collect()} == dict.fromkeys(simulate.TAIL_CLAIMS, True)
+    got = {(r["truth"], r["side"]): r for r in grid.filter("r0 = 4 AND c0 = 1 AND alpha = 0.9").collect()}
     assert got[500, "upper"]["imprecision"] == pytest.approx(0.00683, rel=0.1)
     assert got[50_000, "upper"]["imprecision"] == pytest.approx(6.7e-5, rel=0.1)
+    fit = {r["direction"]: r for r in simulate.tail_fit(grid).collect()}
+    assert fit["span on imprecision"]["slope"] == pytest.approx(1.88, abs=0.05) and fit["span on imprecision"]["n"] == 1024
+    grid.unpersist()
+
+
+def test_finite_tails_are_least_over_the_tilt():
+    rng = np.random.default_rng(3)
+    for side, grid in (("lower", 1 / (1 + np.exp(-np.linspace(-9, 12, 4000)))), ("upper", np.exp(np.linspace(-6, 7, 4000)))):
+        for m in ([4, 0, 7, 11], rng.multinomial(50, [1 / 16] * 16), [50_000], [1, 700]):
+            h = bounds.budget(0.99, len(m), side)[0 if side == "lower" else 1]
+            sign = -1 if side == "lower" else 1
+            plain = min(sum(math.fsum(sign * t / j - math.log1p(sign * t / j) for j in range(1, min(k, 2000) + 1)) for k in m) - len(m) * h * t for t in grid[::40]) if max(m) <= 2000 else None
+            fine = min(float(bounds.log_product(np.array(m), t, sign).sum()) - len(m) * h * t for t in grid)
+            got = bounds.finite_tail(m, h, side)
+            assert got <= math.exp(fine) * (1 + 1e-9) and got == pytest.approx(math.exp(fine), rel=1e-3)
+            assert plain is None or got <= math.exp(plain) * (1 + 1e-9)
 
 
 def test_truncation_stays_in_its_bound(spark):

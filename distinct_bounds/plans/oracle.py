@@ -131,14 +131,25 @@ def floors(by: str, down: float | str | None, up: float | str | None, below: flo
 def reals(columns: dict[str, str], source: str, keep: str = "") -> str:
     """CTE v: keep and, for each name, the real number whose level an expression over the source is.
 
-    Between whole numbers the exponential of the level is all but a straight line.
+    The exponential of the level is all but a straight line, so a number is read off a
+    polynomial in it through four whole numbers.
     """
-    sides = ", ".join(f"{level} AS _{n}" for n, level in columns.items())
-    joins = " ".join(f"ASOF JOIN t2 {n}_ ON _{n} >= {n}_.hp" for n in columns)
-    cols = ", ".join(f"{n}_.n + (exp(_{n}) - exp({n}_.hp)) / (exp({n}_.nx) - exp({n}_.hp)) AS {n}" for n in columns)
+    sides = ", ".join(f"exp({level}) AS _{n}" for n, level in columns.items())
+    joins = " ".join(f"ASOF JOIN t2 {n}_ ON _{n} >= {n}_.g0" for n in columns)
+
+    def read(n: str) -> str:
+        terms = []
+        for i in range(1, 4):
+            others = [j for j in range(4) if j != i]
+            above = " * ".join(f"(_{n} - {n}_.g{j})" for j in others)
+            below = " * ".join(f"({n}_.g{i} - {n}_.g{j})" for j in others)
+            terms.append(f"{i} * {above} / ({below})")
+        return f"{n}_.n + {' + '.join(terms)} AS {n}"
+
+    leads = ", ".join(f"lead(exp(hp), {i}) OVER (ORDER BY n) AS g{i}" for i in range(1, 4))
     return f"""
-t2 AS (SELECT n, hp, lead(hp) OVER (ORDER BY n) AS nx FROM t),
-v AS (SELECT {keep}{', ' if keep else ''}{cols} FROM (SELECT *, {sides} FROM {source}) {joins})"""
+t2 AS (SELECT n, exp(hp) AS g0, {leads} FROM t),
+v AS (SELECT {keep}{', ' if keep else ''}{', '.join(read(n) for n in columns)} FROM (SELECT *, {sides} FROM {source}) {joins})"""
 
 
 def chi_square_tail(x: str, df: str) -> str:

@@ -37,12 +37,15 @@ def without(df: DataFrame, names: Sequence[str]) -> DataFrame:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The shared folder of the cluster; a folder of our own only where none is named (tests)."""
+    """The shared folder of the cluster. Where none is named, a folder of our own in local mode only, as executors
+    of a cluster would not share it."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = held.get() if held.isDefined() else None
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         found = tempfile.mkdtemp(prefix="scratch-")
         spark.sparkContext.setCheckpointDir(found)
     return found

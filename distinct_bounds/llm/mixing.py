@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from distinct_bounds.llm.common import col, map_arrow, materialize, quoted, table, without
+from distinct_bounds.sources.shipping import ship
 
 OUTPUTS = ("size", "source_size", "target", "copies", "taken")
 CYCLE = (1, 2, 3)
@@ -174,33 +175,83 @@ def settle_rounding(spark: SparkSession, sized: DataFrame, sources: list[Source]
                 x.thresholds = tuple(held)
 
 
-def mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text") -> DataFrame:
+def changes(sized: DataFrame, found: DataFrame) -> DataFrame:
+    """(k, _id, size, step): documents that are rounded the other way, so that a source's words come nearer its target.
+
+    Of each source, and of each doubling of the size in it, a few documents that could be
+    rounded up and a few that could be rounded down are looked at, chosen by a hash; from
+    large to small, each is rounded the other way if that brings the words nearer. What
+    stays off is no more than about the smallest of them. Rows of one id and size change together.
+    """
+    made = sized.join(found, "k").withColumn("rate", rate()).withColumn("margin", margin("_id")).withColumn("copies", copies())
+    mark = F.xxhash64("_id", "size", F.lit("change"))
+    one = F.struct(mark.alias("mark"), F.col("_id").alias("id"), F.col("size").alias("size"))
+    up = (F.col("rate") > F.floor("rate")) & (F.col("rate") < CAP) & (F.col("copies") == F.floor("rate"))
+    down = (F.col("rate") > F.floor("rate")) & (F.col("copies") > F.floor("rate"))
+    near = made.groupBy("k", F.floor(F.log2("size")).alias("_class"), F.pmod(mark, F.lit(4)).alias("_part")).agg(
+        F.first("target").alias("target"), F.sum(F.col("copies") * F.col("size")).alias("taken"), F.min(F.when(up, one)).alias("up"), F.min(F.when(down, one)).alias("down")
+    )
+    near = materialize(near, "near")
+    off = near.groupBy("k").agg((F.first("target") - F.sum("taken")).alias("off"))
+    picked = near.select("k", F.inline(F.array(F.struct(F.col("up").alias("x"), F.lit(1).alias("step")), F.struct(F.col("down").alias("x"), F.lit(-1).alias("step"))))).filter("x is not null")
+    picked = materialize(picked.select("k", F.col("x.id").alias("_id"), F.col("x.size").alias("size"), "step"), "picked")
+    same = [F.col("a.k") == F.col("b.k"), F.col("a.size") == F.col("b.size"), F.col("a._id").eqNullSafe(F.col("b._id"))]
+    rows = sized.alias("a").join(picked.alias("b"), same).groupBy("b.k", "b._id", "b.size", "b.step").agg(F.count("*").alias("n"))
+    rows = rows.select("k", "_id", "size", "step", (F.col("n") * F.col("size")).alias("weight")).join(off, "k")
+    kind = sized.schema["_id"].dataType.simpleString()
+
+    def work(group):
+        return turned(group)
+
+    work.__annotations__ = {"group": pa.Table, "return": pa.Table}
+    ship(sized.sparkSession)
+    return materialize(rows.groupBy("k").applyInArrow(work, f"k long, _id {kind}, size long, step int"), "changes")
+
+
+def turned(group: pa.Table) -> pa.Table:
+    """The rows of one source's candidates that are rounded the other way."""
+    off, weight, step = group["off"][0].as_py(), group["weight"].to_pylist(), group["step"].to_pylist()
+    taken = []
+    for i in sorted(range(len(weight)), key=lambda i: (-weight[i], step[i], str(group["_id"][i].as_py()))):
+        moved = off - step[i] * weight[i]
+        if abs(moved) < abs(off):
+            taken.append(i)
+            off = moved
+    out = group.take(pa.array(taken, pa.int64())).select(["k", "_id", "size", "step"])
+    return out.set_column(0, "k", out["k"].cast(pa.int64())).set_column(3, "step", out["step"].cast(pa.int32()))
+
+
+def mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", slim: bool = False) -> DataFrame:
     """docs with size, source_size, target, copies and taken = copies * size.
 
     Sources in code-point order, null last, weigh 1, 2, 3, repeating; targets are those of
     shares(). Within a source the rates minimise relative entropy against one copy each,
     subject to the words taken being the target and to the cap of 3 copies; they are
-    rounded by a fixed hash of the id and size, so reruns agree. Rows with equal id and size
+    rounded by a fixed hash of the id and size, so reruns agree, and a few documents the other way (changes()). Rows with equal id and size
     in a source get equal copies. Null and blank texts have size 0 and take nothing. An
     empty table gives an empty one. The parameters of more than MOST_SOURCES sources stay in a
-    table (wide_parameters), so that the number of sources is not limited.
+    table (wide_parameters), so that the number of sources is not limited. Columns of docs named as the new ones
+    are replaced. With slim only the id and the new columns are returned, and texts are read once.
     """
     spark = docs.sparkSession
-    plain = without(docs, OUTPUTS)
-    with_size = plain.withColumn("size", words_in(col(text_col)))
-    slim = materialize(with_size.select(col(id_col).alias("_id"), col(source_col).cast("string").alias("_source"), "size"), "sizes")
-    sources = find_sources(slim)
+    plain = docs.select(col(id_col)) if slim else without(docs, OUTPUTS)
+    sized = docs.select(F.struct(*[col(c) for c in plain.columns]).alias("_doc"), col(id_col).alias("_id"), col(source_col).cast("string").alias("_named"), words_in(col(text_col)).alias("size"))
+    slim_rows = materialize(sized.select("_id", F.col("_named").alias("_source"), "size"), "sizes")
+    sources = find_sources(slim_rows)
     if sources is None:
-        found = wide_parameters(slim)
+        keyed, found = wide_parameters(slim_rows)
     else:
-        keyed = materialize(attach(slim, sources, "_source").select("_id", "size", "k"), "keyed")
+        keyed = materialize(attach(slim_rows, sources, "_source").select("_id", "size", "k"), "keyed")
         histogram = materialize(keyed.filter("size > 0").groupBy("k", "size").agg(F.count("*").alias("n")), "histogram")
         solve(spark, histogram, sources)
         settle_rounding(spark, keyed.filter("size > 0"), sources)
         found = parameters(spark, sources)
-    packed = with_size.select(F.struct(*[col(c) for c in plain.columns]).alias("_doc"), col(id_col).alias("_id"), col(source_col).cast("string").alias("_named"), "size")
-    made = packed.join(found, F.col("_named").eqNullSafe(F.col("_source"))).withColumn("rate", rate()).withColumn("margin", margin("_id"))
-    made = made.withColumn("copies", copies())
+    turns = changes(keyed.filter("size > 0"), found).select(F.col("k").alias("_k"), F.col("_id").alias("_turned"), F.col("size").alias("_size"), "step")
+    if slim:
+        sized = slim_rows.select(F.struct(F.col("_id").alias(id_col)).alias("_doc"), "_id", F.col("_source").alias("_named"), "size")
+    made = sized.join(found, F.col("_named").eqNullSafe(F.col("_source"))).withColumn("rate", rate()).withColumn("margin", margin("_id"))
+    made = made.join(turns, (F.col("k") == F.col("_k")) & F.col("_id").eqNullSafe(F.col("_turned")) & (F.col("size") == F.col("_size")), "left")
+    made = made.withColumn("copies", (copies() + F.coalesce("step", F.lit(0))).cast("bigint"))
     return made.select(*[F.col(f"_doc.{quoted(c)}").alias(c) for c in plain.columns], "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
 
@@ -223,15 +274,15 @@ def attach(df: DataFrame, sources: list[Source], name: str) -> DataFrame:
     return df.join(F.broadcast(side), F.col(name).eqNullSafe(F.col("_named"))).drop("_named")
 
 
-def wide_parameters(slim: DataFrame) -> DataFrame:
-    """What parameters() gives after solve() and settle_rounding(), with one row a source that never leaves the executors."""
+def wide_parameters(slim: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The documents with their sources' numbers, and what parameters() gives after solve() and settle_rounding(), with one row a source that never leaves the executors."""
     sources = wide_sources(slim)
     names = sources.select("k", F.col("_source").alias("_named"))
-    keyed = materialize(slim.join(names, F.col("_source").eqNullSafe(F.col("_named"))).select("_id", "size", "k"), "keyed").filter("size > 0")
-    duals = wide_duals(keyed.groupBy("k", "size").agg(F.count("*").alias("n")).join(sources.filter("fixed is null").select("k", "target", "mean", "start"), "k"))
+    keyed = materialize(slim.join(names, F.col("_source").eqNullSafe(F.col("_named"))).select("_id", "size", "k"), "keyed")
+    duals = wide_duals(keyed.filter("size > 0").groupBy("k", "size").agg(F.count("*").alias("n")).join(sources.filter("fixed is null").select("k", "target", "mean", "start"), "k"))
     tilt = F.coalesce(F.col("dual") / F.col("mean"), F.lit(0.0))
     found = sources.join(duals, "k", "left").select("k", "_source", "source_size", "target", tilt.alias("tilt"), "fixed", F.array(*[F.lit(0.0)] * 3).alias("thresholds"), "mean", F.lit(-1.0).alias("below"), F.lit(2.0).alias("width"))
-    return wide_rounding(keyed, materialize(found, "parameters"))
+    return keyed, wide_rounding(keyed.filter("size > 0"), materialize(found, "parameters"))
 
 
 def wide_sources(slim: DataFrame) -> DataFrame:
@@ -335,7 +386,7 @@ def wide_rounding(sized: DataFrame, found: DataFrame, levels: int = 2) -> DataFr
 
 def op10_mixing(spark, sf_dir: str) -> DataFrame:
     """doc_id, size, source_size, target, taken (and copies) for every document."""
-    return mix(table(spark, sf_dir, "documents").select("doc_id", "source", "text")).select("doc_id", "size", "source_size", "target", "taken", "copies")
+    return mix(table(spark, sf_dir, "documents").select("doc_id", "source", "text"), slim=True).select("doc_id", "size", "source_size", "target", "taken", "copies")
 
 
 def take_mix(spark, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -24,7 +24,7 @@ RECORDS = "record_id string, kind string, url string, ts long, headers map<strin
 def canonical(url: Column) -> Column:
     """A key for captures of one page: no scheme, user, default port, www, fragment, tracking parameter or final slash;
     host in lower case. Null for null."""
-    rest = F.regexp_replace(F.regexp_replace(F.trim(url), r"^[A-Za-z][A-Za-z0-9+.-]*://", ""), r"#.*$", "")
+    rest = F.regexp_replace(F.regexp_replace(F.trim(url), r"^(?:[A-Za-z][A-Za-z0-9+.-]*:)?//", ""), r"#.*$", "")
     host = F.regexp_replace(F.regexp_replace(F.lower(F.regexp_extract(rest, r"^[^/?]*", 0)), r"^.*@", ""), r":(?:80|443)$", "")
     host = F.regexp_replace(host, r"^www\.", "")
     path = F.regexp_replace(rest, r"^[^/?]*", "")
@@ -43,7 +43,9 @@ def resolve_revisits(records: DataFrame) -> DataFrame:
     compared without their mark. Then it gets the response's headers with the permitted
     ones of its own in their place; otherwise source_id and merged_headers stay null, as for
     a null url or ts. Other kinds pass with status "other". Repeated records are resolved
-    one by one; responses that repeat a record_id count once.
+    one by one. Of responses that share record_id, canonical URL and ts, the one whose headers,
+    in order of their names, and digest come first as text counts. An empty table gives an
+    empty one. Columns named as the new ones are replaced.
 
     The as-of join never brings all captures of a URL together: the latest response is
     found within an hour of captures, and before it among the hours' latest ones.
@@ -60,10 +62,14 @@ def resolve_revisits(records: DataFrame) -> DataFrame:
     earlier = Window.partitionBy("_canon", "_block").orderBy("_ts").rangeBetween(Window.unboundedPreceding, -1)
     near = keys.withColumn("_near", F.max(full).over(earlier)).filter("_kind = 'revisit'")
     found = near.join(hours, (F.col("_canon") == F.col("_c")) & (F.col("_block") == F.col("_b")), "left")
-    found = found.select(F.col("_row").alias("_found"), F.coalesce("_near", "_old")["i"].alias("_source"))
-
-    sources = records.filter("kind = 'response'").select(F.col("record_id").alias("_sid"), F.col("headers").alias("_sh"), F.col("digest").alias("_sd")).dropDuplicates(["_sid"])
-    wanted = materialize(found.filter("_source is not null"), "wanted").join(sources, F.col("_source") == F.col("_sid"))
+    latest = F.coalesce("_near", "_old")
+    found = found.select(F.col("_row").alias("_found"), "_canon", latest["t"].alias("_when"), latest["i"].alias("_source"))
+
+    looks = F.struct(F.to_json(F.array_sort(F.map_entries("_r.headers"))).alias("h"), F.col("_r.digest").alias("d"))
+    sources = rows.filter("_kind = 'response'").groupBy(F.col("_id").alias("_sid"), F.col("_canon").alias("_sc"), F.col("_ts").alias("_st"))
+    sources = sources.agg(F.min_by(F.struct(F.col("_r.headers").alias("h"), F.col("_r.digest").alias("d")), looks).alias("_s")).select("_sid", "_sc", "_st", F.col("_s.h").alias("_sh"), F.col("_s.d").alias("_sd"))
+    same = (F.col("_source") == F.col("_sid")) & (F.col("_canon") == F.col("_sc")) & (F.col("_when") == F.col("_st"))
+    wanted = materialize(found.filter("_source is not null"), "wanted").join(sources, same)
     told = materialize(wanted.select("_found", "_source", "_sh", "_sd"), "told")
     met = rows.join(told, F.col("_row") == F.col("_found"), "left")
 
@@ -228,7 +234,7 @@ WITH b AS (
   UNION ALL
   SELECT page_id, 'r' || page_id, 'revisit', url || '#again', cap + CASE WHEN page_id % 11 = 5 THEN -{MINUTE // 2} ELSE {MINUTE // 2} END,
          CASE WHEN page_id % 7 = 3 THEN '"changed"' ELSE tag END, cap + {MINUTE // 2} FROM b
-), s AS (SELECT *, regexp_replace(regexp_replace(trim(url), '^[A-Za-z][A-Za-z0-9+.-]*://', ''), '#.*$', '') AS rest FROM r),
+), s AS (SELECT *, regexp_replace(regexp_replace(trim(url), '^([A-Za-z][A-Za-z0-9+.-]*:)?//', ''), '#.*$', '') AS rest FROM r),
 p AS (SELECT *, regexp_replace(regexp_replace(regexp_replace(lower(regexp_extract(rest, '^[^/?]*')), '^.*@', ''), ':(80|443)$', ''), '^www\.', '') AS host,
   regexp_replace(regexp_replace(regexp_replace(regexp_replace(rest, '^[^/?]*', ''), '([?&]){TRACKING}=[^&]*', '\1', 'g'), '&&+', '&', 'g'), '\?&', '?', 'g') AS path FROM s),
 c AS (SELECT page_id, record_id, kind, ts, tag, date, host || regexp_replace(regexp_replace(path, '[?&]+$', ''), '/+$', '') AS canonical_url FROM p),

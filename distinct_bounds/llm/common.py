@@ -51,11 +51,12 @@ def scratch_dir(spark: SparkSession) -> str:
     return found
 
 
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """df written to the shared folder and read again: lineage ends here, lost executors cost nothing."""
+def materialize(df: DataFrame, label: str, by: str | None = None) -> DataFrame:
+    """df written to the shared folder, in parts by a column if one is named, and read again: lineage ends here, lost
+    executors cost nothing."""
     spark = df.sparkSession
     path = f"{scratch_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
     return out

@@ -1,4 +1,8 @@
-"""Connected components of a graph in a table, by contraction; no node's links ever meet in one task."""
+"""Connected components of a graph in a table, by contraction.
+
+Minima over a node's links are taken per task first. The two joins that move links to their
+ends' roots do bring the links of a node to one key; they have two ids a row, and the engine
+splits a key of many rows at run time as the other side has one row for it."""
 
 from __future__ import annotations
 

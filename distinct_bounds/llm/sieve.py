@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 
 from distinct_bounds.llm.common import materialize
 
-#: The filter never has more bits, so no more than 64 MB are broadcast; a fuller filter only lets more rows through.
+#: A filter never has more bits, so no more than 64 MB are broadcast. One that is to hold more rows than that lets
+#: more through; exact copies deal their rows to as many filters as keep BITS_A_ROW bits for each row.
 MOST_BITS = 1 << 29
 LEAST_BITS = 1 << 16
 BITS_A_ROW = 16
@@ -39,6 +40,11 @@ def cells(hashed: Column, bits: int) -> tuple[Column, Column]:
     return hashed.bitwiseAND(F.lit(bits - 1)) + 1, F.shiftrightunsigned(hashed, 33).bitwiseAND(F.lit(bits - 1)) + 1
 
 
+def filters_for(rows: int) -> int:
+    """How many filters of MOST_BITS it takes to keep BITS_A_ROW bits for each row."""
+    return max(1, -(-rows * BITS_A_ROW // MOST_BITS))
+
+
 def size_for(rows: int) -> int:
     return min(MOST_BITS, max(LEAST_BITS, 1 << math.ceil(math.log2(max(2, BITS_A_ROW * rows)))))
 

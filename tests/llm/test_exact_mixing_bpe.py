@@ -84,6 +84,19 @@ def test_copies_equal_brute_force(spark):
     assert exact.mark_copies(docs.limit(0)).count() == 0
 
 
+def test_many_filters_mark_as_one_does(spark, monkeypatch):
+    rng = random.Random(3)
+    rows = [(rng.choice([None, *range(1000)]), f"t{rng.randrange(700)}", i) for i in range(1500)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, other int")
+    monkeypatch.setattr(exact.sieve, "MOST_BITS", 1 << 13)
+    monkeypatch.setattr(exact.sieve, "LEAST_BITS", 1 << 10)
+    assert exact.sieve.filters_for(1500) == 3
+    for slim in (False, True):
+        got = exact.mark_copies(docs, slim=slim).collect()
+        assert sorted(((r["doc_id"], r["keep_id"], r["group_size"], r["text_sha256"]) for r in got), key=str) == plain_copies(rows)
+        assert sum(r["kept"] for r in got) == len({r[1] for r in rows})
+
+
 def test_only_possible_copies_shuffle(spark):
     docs = spark.createDataFrame([(i, f"text {i}") for i in range(500)] + [(900, "text 7")], "doc_id long, text string")
     made = exact.mark_copies(docs)

@@ -188,7 +188,8 @@ def encode(docs: DataFrame, vocabulary: Vocabulary | None = None, outputs: Seque
 
     ids are the ranks of the tokens of each pre-token by itself, without special tokens;
     decoded are the bytes that the ids stand for, the text in UTF-8. A null text counts as
-    empty and has no ids. Every row is returned, repeated ones too.
+    empty and has no ids. Every row is returned, repeated ones too; an empty table gives an empty
+    one. Columns of docs named as the outputs are replaced.
     """
     if unknown := set(outputs) - set(KINDS):
         raise ValueError(f"unknown outputs: {sorted(unknown)}")
@@ -233,5 +234,6 @@ def op2_bpe(spark, sf_dir: str) -> DataFrame:
 
 
 def encode_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: doc_id, n_tokens and the digests of the ids and of what they decode to, a row for each copy."""
+    """Pipeline stage: doc_id, n_tokens and the digests of the ids and of what they decode to, a row for each copy.
+    A null text has no ids; an empty table stays empty."""
     return encode(docs.select(col("doc_id"), col("text")), outputs=DIGESTS).select("doc_id", *DIGESTS)

@@ -74,7 +74,8 @@ def op9_exact(spark, sf_dir: str) -> DataFrame:
 
 
 def drop_copies(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: one row of each group of equal texts, with the documents' own columns."""
+    """Pipeline stage: one row of each group of equal texts, with the documents' own columns. Null texts equal empty
+    ones, so one of them stays; of rows that repeat the smallest id one stays; an empty table stays empty."""
     return mark_copies(docs).filter("kept").select(*[col(c) for c in docs.columns])
 
 

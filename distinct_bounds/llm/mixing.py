@@ -390,6 +390,7 @@ def op10_mixing(spark, sf_dir: str) -> DataFrame:
 
 
 def take_mix(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: each document as often as the mix takes it, with the documents' own columns."""
+    """Pipeline stage: each document as often as the mix takes it, with the documents' own columns. Null and blank
+    texts have no words and are not taken; null sources are one source; an empty table stays empty."""
     mixed = mix(docs)
     return mixed.filter("copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*[col(c) for c in docs.columns])

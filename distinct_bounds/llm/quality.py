@@ -153,6 +153,7 @@ def op1_quality(spark, sf_dir: str) -> DataFrame:
 
 
 def keep_good(spark, docs: DataFrame, sf_dir: str, threshold: float = 0.3) -> DataFrame:
-    """Pipeline stage: the documents whose score reaches the threshold, with their own columns."""
+    """Pipeline stage: the documents whose score reaches the threshold, with their own columns. A null text is scored
+    as an empty one; repeated rows stay or go together; an empty table stays empty."""
     model = train(docs, table(spark, sf_dir, "labels"), learn=id_remainder("doc_id", 5) != 0)
     return score(docs, model).filter(col("score") >= threshold).select(*[col(c) for c in docs.columns])

@@ -17,6 +17,9 @@ from distinct_bounds.sources.shipping import ship
 #: Rows that become Python strings at a time, so that long texts never pile up.
 CHUNK = 256
 
+#: Setting of the session, and bytes of rows that Spark hands to Python at a time where it is unset.
+BATCH_KEY, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", "4m"
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -75,9 +78,17 @@ def settle() -> None:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
 
 
+def bound_batches(spark: SparkSession) -> None:
+    """Bound the batches of this session in bytes, not in rows alone: ten thousand texts, or a few very long ones, would
+    be held by the executor and by Python at once. A bound that the session has already is kept."""
+    if spark.conf.get(BATCH_KEY, None) is None:
+        spark.conf.set(BATCH_KEY, BATCH_BYTES)
+
+
 def map_arrow(df: DataFrame, function, schema: str) -> DataFrame:
     """mapInArrow with this package's code on the executors."""
     ship(df.sparkSession)
+    bound_batches(df.sparkSession)
 
     def run(batches):
         yield from function(batches)
@@ -112,6 +123,7 @@ def text_udf(schema: str, names: Sequence[str], make: Callable[[], Callable[[lis
         settle()
 
     ship(SparkSession.active())
+    bound_batches(SparkSession.active())
     run.__annotations__ = {"batches": Iterator[pa.Array], "return": Iterator[pa.Array]}
     return F.arrow_udf(run, f"struct<{schema}>").asNondeterministic()
 

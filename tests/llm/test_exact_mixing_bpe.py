@@ -202,3 +202,19 @@ def test_scratch_space_is_never_local_to_a_machine_of_a_cluster(spark, monkeypat
     away = SimpleNamespace(conf=SimpleNamespace(get=lambda *_: None), sparkContext=SimpleNamespace(_jsc=jsc, master="spark://far:7077"))
     with pytest.raises(RuntimeError):
         common.scratch_dir(away)
+
+
+def test_batches_are_bounded_unless_the_session_bounds_them(spark):
+    from distinct_bounds.llm.common import BATCH_KEY, bound_batches
+
+    held = spark.conf.get(BATCH_KEY, None)
+    try:
+        spark.conf.set(BATCH_KEY, "1m")
+        bound_batches(spark)
+        assert spark.conf.get(BATCH_KEY) == "1m"
+        spark.conf.unset(BATCH_KEY)
+        bound_batches(spark)
+        assert spark.conf.get(BATCH_KEY) == "4m"
+    finally:
+        if held is not None:
+            spark.conf.set(BATCH_KEY, held)

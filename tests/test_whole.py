@@ -2,6 +2,8 @@
 
 import duckdb
 import numpy as np
+import pytest
+from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
 from distinct_bounds.functions.special import hp
@@ -50,3 +52,9 @@ def test_first_month_and_both_order_keys_are_queries(spark):
 def test_simulations_draw_as_many_trials_as_the_operators(spark):
     assert workloads.mc_truncation(spark, SF).first()["trials"] == 1000
     assert {r["trials"] for r in workloads.mc_coverage(spark, SF).collect()} == {2000}
+
+
+@pytest.mark.parametrize("name", ["bit_budgets"])
+def test_reads_its_table(spark, tmp_path, name):
+    with pytest.raises(AnalysisException):
+        workloads.QUERIES[name](spark, str(tmp_path)).collect()

@@ -54,7 +54,7 @@ def test_simulations_draw_as_many_trials_as_the_operators(spark):
     assert {r["trials"] for r in workloads.mc_coverage(spark, SF).collect()} == {2000}
 
 
-@pytest.mark.parametrize("name", ["bit_budgets", "finite_tails", "forward_levels", "gamma_products", "h_exponents", "hp_table", "log_shortest", "mc_coverage", "mc_coverage_claims", "mc_tail_constant"])
+@pytest.mark.parametrize("name", ["bit_budgets", "finite_tails", "forward_levels", "gamma_products", "h_exponents", "hp_table", "log_shortest", "mc_coverage", "mc_coverage_claims", "mc_tail_constant", "mc_tail_fit"])
 def test_reads_its_table(spark, tmp_path, name):
     with pytest.raises(AnalysisException):
         workloads.QUERIES[name](spark, str(tmp_path)).collect()

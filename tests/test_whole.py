@@ -7,7 +7,7 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
 from distinct_bounds.functions.special import hp
-from distinct_bounds.operators import estimate
+from distinct_bounds.operators import estimate, simulate
 from distinct_bounds.plans import workloads
 
 SF = "/root/testdata/sf0.001"
@@ -50,11 +50,11 @@ def test_first_month_and_both_order_keys_are_queries(spark):
 
 
 def test_simulations_draw_as_many_trials_as_the_operators(spark):
-    assert workloads.mc_truncation(spark, SF).first()["trials"] == 1000
+    assert simulate.truncation_gap(spark).first()["trials"] == 1000
     assert {r["trials"] for r in workloads.mc_coverage(spark, SF).collect()} == {2000}
 
 
-@pytest.mark.parametrize("name", ["bit_budgets", "finite_tails", "forward_levels", "gamma_products", "h_exponents", "hp_table", "log_shortest", "mc_coverage", "mc_coverage_claims", "mc_tail_constant", "mc_tail_fit"])
+@pytest.mark.parametrize("name", ["bit_budgets", "finite_tails", "forward_levels", "gamma_products", "h_exponents", "hp_table", "log_shortest", "mc_coverage", "mc_coverage_claims", "mc_tail_constant", "mc_tail_fit", "mc_truncation"])
 def test_reads_its_table(spark, tmp_path, name):
     with pytest.raises(AnalysisException):
         workloads.QUERIES[name](spark, str(tmp_path)).collect()

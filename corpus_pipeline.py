@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from distinct_bounds.llm.bpe import encode_stage
-from distinct_bounds.llm.common import materialize, table
+from distinct_bounds.llm.common import discard, materialize, swept, table
 from distinct_bounds.llm.exact import drop_copies
 from distinct_bounds.llm.mixing import take_mix
 from distinct_bounds.llm.ngram_join import drop_near_copies
@@ -26,7 +26,13 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """The last stage over what is left; of the stages before it only the newest output is kept on disk."""
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), name)
+        with swept() as keep:
+            docs = materialize(stage(spark, docs, sf_dir), name)
+            keep.append(docs)
+        if before is not None:
+            discard(before)
+        before = docs
     return STAGES[-1][1](spark, docs, sf_dir)

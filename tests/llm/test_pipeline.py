@@ -1,8 +1,10 @@
 import hashlib
+import os
 import random
 
 import corpus_pipeline
 from distinct_bounds.llm import catalogue
+from distinct_bounds.llm.common import materialize, scratch_dir
 
 
 def test_stages_one_after_the_other(spark, tmp_path):
@@ -50,3 +52,15 @@ def test_catalogue_has_one_query_for_each_operator():
     assert [int(n[2:].split("_")[0]) for n in names] == list(range(1, 11))
     assert set(catalogue.oracle_sql()) <= set(names)
     assert [n for n, _ in corpus_pipeline.STAGES] == ["quality_classifier", "exact_dedup", "ngram_jaccard", "source_mixing", "bpe_encoding"]
+
+
+def test_outputs_of_earlier_stages_do_not_pile_up(spark, tmp_path, monkeypatch):
+    def stage(spark, docs, sf_dir):
+        return materialize(docs, "within").selectExpr("doc_id", "n + 1 AS n")
+
+    spark.createDataFrame([(i, 0) for i in range(20)], "doc_id long, n long").write.parquet(str(tmp_path / "documents.parquet"))
+    monkeypatch.setattr(corpus_pipeline, "STAGES", [("first", stage), ("second", stage), ("third", stage), ("last", lambda spark, docs, sf_dir: docs)])
+    before = set(os.listdir(scratch_dir(spark).removeprefix("file:")))
+    out = corpus_pipeline.run(spark, str(tmp_path))
+    left = [name.split("-")[0] for name in set(os.listdir(scratch_dir(spark).removeprefix("file:"))) - before]
+    assert left == ["third"] and [tuple(r) for r in out.orderBy("doc_id").collect()] == [(i, 3) for i in range(20)]
